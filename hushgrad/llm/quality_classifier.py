@@ -3,7 +3,8 @@ follow-the-regularised-leader updates and scored as sparse dot products.
 
 The n-grams are single words and pairs of neighbours, of two readings of the
 text: the words themselves (lower case) and their shapes (runs of letters,
-digits and each other sign reduced to one mark).  A document's vector holds, for
+digits and each other sign reduced to one mark); pairs also enter by whether
+both words are the same.  A document's vector holds, for
 each hashed n-gram, the square root of its share of the document's n-grams, and
 a constant.
 
@@ -72,6 +73,10 @@ def grams(s: words.Scan, bits: int) -> tuple[np.ndarray, np.ndarray]:
             pair = np.flatnonzero(doc[:-1] == doc[1:])
             out_h.append(words.mix(h[pair] * U(3) + h[pair + 1] + U(salt + 77)))
             out_d.append(doc[pair])
+            if salt == 0:  # pairs once more, as "twice the same word" or "two words"
+                same = (h[pair] == h[pair + 1]).astype(U)
+                out_h.append(words.mix(same + U(991)))
+                out_d.append(doc[pair])
     return (np.concatenate(out_h) >> U(64 - bits)).astype(np.int64), np.concatenate(out_d)
 
 

@@ -37,7 +37,7 @@ class Rules:
     max_repeat_percent: int = 20
     repeat_window: int = 5
     min_line_docs: int = 20
-    line_share: float = 0.2
+    line_share: float = 0.08
     min_left: float = 0.2
 
 
