@@ -6,5 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
-ORACLE_SQL: dict[str, str] = {}
+from hushgrad.plans import methods, oracle
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {**methods.QUERIES}
+ORACLE_SQL: dict[str, str] = {**oracle.SQL}
