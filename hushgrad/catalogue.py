@@ -6,7 +6,8 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from hushgrad.operators import around
 from hushgrad.plans import methods, oracle
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {**methods.QUERIES}
-ORACLE_SQL: dict[str, str] = {**oracle.SQL}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {**methods.QUERIES, **around.QUERIES}
+ORACLE_SQL: dict[str, str] = {**oracle.SQL, **around.SQL}
