@@ -6,12 +6,13 @@ signature coordinates: coordinate k is the smallest entry of the second
 permutation at (place + k).  Bands of the signature propose pairs and the full
 sets confirm them.
 
-No group is ever paired with itself in full.  Documents with equal sets become
-one class first.  In each bucket of a band, one member at a time is compared
-with the others (a star); after a round, buckets whose members are already
-connected are done, and the few pairs still open are listed once they are in
-proportion to the input.  No link between different texts is lost by this: every pair of a bucket is
-compared, or its members are already connected.
+No pairs of a group are ever listed in full.  Documents with equal sets become
+one class first.  In each bucket of a band, one member (the centre) is compared
+with all others.  A bucket whose other members are then in one component is done.
+The members of the rest are dealt into blocks of bounded size; each pair of
+blocks is compared in one task, which only gives the links that join different
+components there, fewer than it has members.  So every pair of a bucket is
+compared, or its members are connected already: no component is ever split.
 """
 
 from __future__ import annotations
@@ -34,15 +35,14 @@ PLACES = 1 << PLACE_BITS
 @dataclass(frozen=True)
 class Params:
     """Sets are linked at `percent` or more.  24 bands of 5 miss a pair at 0.85
-    with probability (1 - 0.85**5)**24 < 1e-6.  star_rounds and open_factor say
-    when open pairs are listed, not which are compared."""
+    with probability (1 - 0.85**5)**24 < 1e-6.  block: members compared with one
+    another in a task."""
 
     shingle: int = 5
     percent: int = 85
     bands: int = 24
     rows: int = 5
-    star_rounds: int = 4
-    open_factor: int = 4
+    block: int = 512
     seed: int = 20
 
 
@@ -157,6 +157,79 @@ def _confirm(percent: int):
     return run
 
 
+def _overlaps(sets: list[np.ndarray]) -> np.ndarray:
+    """Intersection sizes of all pairs, from a 0/1 matrix of members and shared items, some thousand items at a time."""
+    owner = np.repeat(np.arange(len(sets)), [len(x) for x in sets])
+    items = np.concatenate(sets)
+    order = np.argsort(items, kind="stable")
+    items, owner = items[order], owner[order]
+    new = np.ones(len(items), dtype=bool)
+    new[1:] = items[1:] != items[:-1]
+    column = np.cumsum(new) - 1
+    shared = np.bincount(column) > 1  # an item of one member alone is in no intersection
+    keep = shared[column]
+    column, owner = (np.cumsum(shared) - 1)[column[keep]], owner[keep]
+    out = np.zeros((len(sets), len(sets)), dtype=np.float32)
+    for a in range(0, int(shared.sum()), 4096):
+        some = (column >= a) & (column < a + 4096)
+        m = np.zeros((len(sets), 4096), dtype=np.float32)
+        m[owner[some], column[some] - a] = 1
+        out += m @ m.T
+    return out.astype(np.int64)
+
+
+def _compare_blocks(percent: int):
+    """Rows (band, i, j, rep, c, items) in order of (band, i, j): links that join different components c."""
+
+    def links(reps: list[int], comps: list[int], sets: list[np.ndarray]) -> list[tuple[int, int]]:
+        if len(set(comps)) < 2:
+            return []
+        size = np.array([len(x) for x in sets])
+        both = _overlaps(sets)
+        a, b = np.nonzero(np.triu(100 * both >= percent * (size[:, None] + size[None, :] - both), 1))
+        root = {c: c for c in comps}
+
+        def find(c: int) -> int:
+            while root[c] != c:
+                root[c] = root[root[c]]
+                c = root[c]
+            return c
+
+        out = []
+        for x, y in zip(a.tolist(), b.tolist(), strict=True):
+            p, q = find(comps[x]), find(comps[y])
+            if p != q:
+                root[max(p, q)] = min(p, q)
+                out.append((reps[x], reps[y]))
+        return out
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at, reps, comps, sets = None, [], [], []
+
+        def done() -> pa.RecordBatch:
+            found = links(reps, comps, sets)
+            return pa.RecordBatch.from_arrays([pa.array([x[k] for x in found], pa.int64()) for k in (0, 1)], ["a", "b"])
+
+        for batch in batches:
+            cols = [batch.column(k).to_pylist() for k in range(5)]
+            for k, key in enumerate(zip(*cols[:3], strict=True)):
+                if key != at:
+                    if at is not None:
+                        yield done()
+                    at, reps, comps, sets = key, [], [], []
+                reps.append(cols[3][k])
+                comps.append(cols[4][k])
+                sets.append(np.frombuffer(batch.column(5)[k].as_buffer(), dtype=U).copy())
+        if at is not None:
+            yield done()
+
+    return run
+
+
+def _mark(edges: DataFrame) -> tuple:
+    return tuple(edges.agg(F.count(F.lit(1)), F.bit_xor(F.xxhash64("a", "b")), F.bit_xor(F.xxhash64("b", "a", F.lit(1)))).first())
+
+
 def connected(edges: DataFrame) -> DataFrame:
     """(node, comp): the smallest node of each node's component, for nodes that have an edge.
 
@@ -164,6 +237,7 @@ def connected(edges: DataFrame) -> DataFrame:
     shuffles edges only and pre-aggregates minima before the shuffle.
     """
     now = store.settle(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a <> b").distinct(), "edges")
+    mark = _mark(now)
     while True:
         both = now.select("a", "b").union(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
         least = both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("n"), F.least("a", "m").alias("m"))
@@ -184,9 +258,11 @@ def connected(edges: DataFrame) -> DataFrame:
             .distinct()
         )
         small = store.settle(small, "small-star")
-        changed = not now.exceptAll(small).isEmpty() or not small.exceptAll(now).isEmpty()
+        store.drop(now)
+        store.drop(large)
+        before, mark = mark, _mark(small)
         now = small
-        if not changed:
+        if mark == before:
             return now.select(F.col("a").alias("node"), F.col("b").alias("comp"))
 
 
@@ -194,11 +270,9 @@ SMALL_LOOKUP = 1_000_000
 
 
 def components(docs: DataFrame, params: Params = Params(), id_col: str = "doc_id", text_col: str = "text", signer=None) -> DataFrame:  # noqa: ANN001
-    """doc_id, n_shingles, component_id, kept, class_id, n_links.
+    """doc_id, n_shingles, component_id, kept, class_id.
 
-    class_id is the smallest id of the documents with the same set; n_links
-    counts confirmed links of the class to other classes (links between members that are
-    connected through their bucket's centre anyway are not all listed).
+    class_id is the smallest id of the documents with the same set.
 
     Null or wordless texts have an empty set and are linked with nothing; a null
     id stands for the least long inside and comes back as null; rows that repeat
@@ -234,51 +308,38 @@ def components(docs: DataFrame, params: Params = Params(), id_col: str = "doc_id
         "sets",
     )
 
-    linked = None
-    comp = None
-    for turn in range(p.star_rounds + 1):
-        state = buckets if comp is None else buckets.join(comp, F.col("rep") == F.col("node"), "left").select("band", "rep", "n", F.coalesce("comp", "rep").alias("c"))
-        if comp is None:
-            state = state.withColumn("c", F.col("rep"))
-        state = store.settle(state, "state") if comp is not None else state
-        if comp is not None:
-            # open pairs of a bucket: those between different components
-            whole = state.groupBy("band", "c").agg(F.count(F.lit(1)).alias("k")).groupBy("band").agg(F.sum("k").alias("m"), F.sum(F.col("k") * F.col("k")).alias("q"), F.count(F.lit(1)).alias("comps"))
-            whole = store.settle(whole.filter("comps > 1").select("band", ((F.col("m") * F.col("m") - F.col("q")) / 2).alias("open")), "open")
-            n_open = whole.agg(F.sum("open")).first()[0] or 0
-            if not n_open:
-                break
-            state = state.join(whole.select("band"), "band")
-        if comp is not None and (turn == p.star_rounds or n_open <= p.open_factor * n_needed):
-            state = store.settle(state, "listed")
-            other = state.select("band", F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("c").alias("cb"))
-            pairs = state.select("band", F.col("rep").alias("a"), F.col("n").alias("na"), F.col("c").alias("ca")).join(other, "band").filter("a < b and ca <> cb")
-            last = True
-        else:
-            order = F.col("rep") if turn == 0 else F.xxhash64("rep", F.lit(turn))
-            centre = state.groupBy("band").agg(F.min_by(F.struct("rep", "n", "c"), order).alias("z"))
-            centre = store.settle(centre.select("band", F.col("z.rep").alias("b"), F.col("z.n").alias("nb"), F.col("z.c").alias("cb")), "centres")
-            pairs = state.select("band", F.col("rep").alias("a"), F.col("n").alias("na"), F.col("c").alias("ca")).join(centre, "band").filter("a <> b and ca <> cb")
-            last = False
-        # sizes alone rule out many pairs exactly
-        pairs = pairs.filter(100 * F.least("na", "nb") >= p.percent * F.greatest("na", "nb"))
-        pairs = pairs.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
-        pairs = store.settle(pairs, "pairs")
-        with_a = pairs.join(sets.select(F.col("rep").alias("a"), F.col("items").alias("xa")), "a")
-        with_b = with_a.join(sets.select(F.col("rep").alias("b"), F.col("items").alias("xb")), "b")
-        found = store.settle(with_b.select("a", "b", "xa", "xb").mapInArrow(_confirm(p.percent), "a long, b long"), "links")
-        linked = found if linked is None else store.settle(linked.union(found).distinct(), "links")
-        comp = connected(linked)
-        if last:
-            break
-    for t in (sets, buckets):
+    # the star of each bucket: its centre, the member of smallest id, against the others
+    centre = store.settle(buckets.groupBy("band").agg(F.min(F.struct("rep", "n")).alias("z")).select("band", F.col("z.rep").alias("b"), F.col("z.n").alias("nb")), "centres")
+    pairs = buckets.join(centre, "band").filter("rep <> b")
+    # sizes alone rule out many pairs exactly
+    pairs = pairs.filter(100 * F.least("n", "nb") >= p.percent * F.greatest("n", "nb")).select(F.col("rep").alias("a"), "b").distinct()
+    pairs = store.settle(pairs, "pairs")
+    with_a = pairs.join(sets.select(F.col("rep").alias("a"), F.col("items").alias("xa")), "a")
+    with_b = with_a.join(sets.select(F.col("rep").alias("b"), F.col("items").alias("xb")), "b")
+    linked = store.settle(with_b.select("a", "b", "xa", "xb").mapInArrow(_confirm(p.percent), "a long, b long"), "star-links")
+    comp = connected(linked)
+
+    # buckets whose other members are in several components go on, in blocks
+    rest = buckets.join(centre.select("band", "b"), "band").filter("rep <> b").drop("b")
+    rest = rest.join(comp, F.col("rep") == F.col("node"), "left").select("band", "rep", F.coalesce("comp", "rep").alias("c"))
+    rest = store.settle(rest, "rest")
+    open_ = rest.groupBy("band").agg(F.count(F.lit(1)).alias("m"), F.min("c").alias("lo"), F.max("c").alias("hi")).filter("lo <> hi").select("band", F.ceil(F.col("m") / p.block).cast("int").alias("nb"))
+    dealt = rest.join(open_, "band").withColumn("k", F.pmod(F.xxhash64("rep"), F.col("nb")).cast("int"))
+    dealt = dealt.select("band", "rep", "c", "k", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)).alias("o"))
+    dealt = dealt.select("band", F.least("k", "o").alias("i"), F.greatest("k", "o").alias("j"), "rep", "c")
+    full = dealt.join(sets, "rep").select("band", "i", "j", "rep", "c", "items")
+    block_links = (
+        full.repartition(store.partitions(docs), "band", "i", "j").sortWithinPartitions("band", "i", "j").mapInArrow(_compare_blocks(p.percent), "a long, b long")
+    )
+    block_links = store.settle(block_links.distinct(), "block-links")
+    if not block_links.isEmpty():
+        comp = connected(comp.select(F.col("node").alias("a"), F.col("comp").alias("b")).union(block_links))
+    for t in (sets, buckets, pairs, rest):
         store.drop(t)
 
-    degrees = linked.select(F.explode(F.array("a", "b")).alias("k")).groupBy("k").agg(F.count(F.lit(1)).alias("links"))
     named = store.settle(
         classes.join(comp, F.col("rep") == F.col("node"), "left")
-        .join(degrees, F.col("rep") == F.col("k"), "left")
-        .select("d1", "d2", "rep", F.coalesce("comp", "rep").alias("comp"), F.coalesce("links", F.lit(0)).alias("links")),
+        .select("d1", "d2", "rep", F.coalesce("comp", "rep").alias("comp")),
         "named",
     )
     out = signed.select("doc_id", "n_shingles", "d1", "d2").join(named, ["d1", "d2"], "left")
@@ -289,7 +350,6 @@ def components(docs: DataFrame, params: Params = Params(), id_col: str = "doc_id
         id_or_null(F.coalesce("comp", "doc_id")).alias("component_id"),
         (F.col("doc_id") == F.coalesce("comp", "doc_id")).alias("kept"),
         id_or_null(F.coalesce("rep", "doc_id")).alias("class_id"),
-        F.coalesce("links", F.lit(0)).cast("long").alias("n_links"),
     )
 
 

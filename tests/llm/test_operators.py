@@ -2,6 +2,7 @@
 
 import collections
 import hashlib
+import random
 import re
 import zlib
 
@@ -200,8 +201,8 @@ def group(rows, percent):
 
 def test_near_dedup(docs, rows, empty):
     want = group(rows, 85)
-    for star in (4, 0):
-        out = by_id(near_dedup.components(docs, near_dedup.Params(star_rounds=star)))
+    for block in (512, 2):
+        out = by_id(near_dedup.components(docs, near_dedup.Params(block=block)))
         assert {i: (r["n_shingles"], r["component_id"]) for i, r in out.items()} == want
         assert all(r["kept"] == (i == r["component_id"]) for i, r in out.items())
     left = near_dedup.deduplicate(docs)
@@ -222,6 +223,23 @@ def test_near_dedup_large_group_of_near_copies(spark):
     assert {r["component_id"] for r in out} == {0}
 
 
+def test_near_dedup_family_around_the_threshold(spark):
+    rng = random.Random(2)
+    base = [f"w{i}" for i in range(200)]
+    rows = []
+    for i in range(150):
+        w = list(base)
+        for j in range(rng.randint(2, 9)):
+            w[rng.randrange(200)] = f"c{i}x{j}"
+        rows.append((i, " ".join(w)))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    want = {i: c for i, (_, c) in group(rows, 85).items()}
+    assert 1 < len(set(want.values())) < 150
+    for block in (512, 16):
+        out = by_id(near_dedup.components(df, near_dedup.Params(block=block)))
+        assert {i: r["component_id"] for i, r in out.items()} == want
+
+
 def test_fingerprints(docs, rows, empty):
     out = by_id(fingerprints.fingerprint_with_edit(docs))
     assert len(out) == len(rows)
