@@ -35,7 +35,7 @@ FLUSH = 4_000_000
 @dataclass(frozen=True)
 class Params:
     window: int = 20
-    cells_per_byte: float = 0.31  # two cells in each row for a window, at 6.4 bytes a word
+    cells_per_byte: float = 0.62  # four cells in each row for a window, at 6.4 bytes a word
     min_cells_log2: int = 20
     max_cells_log2: int = 29
 
