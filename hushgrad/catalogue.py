@@ -6,8 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from hushgrad.fl import queries as fl
 from hushgrad.operators import around
 from hushgrad.plans import methods, oracle
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {**methods.QUERIES, **around.QUERIES}
-ORACLE_SQL: dict[str, str] = {**oracle.SQL, **around.SQL}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {**methods.QUERIES, **fl.QUERIES, **around.QUERIES}
+ORACLE_SQL: dict[str, str] = {**oracle.SQL, **fl.SQL, **around.SQL}
