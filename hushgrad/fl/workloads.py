@@ -51,10 +51,11 @@ def _by(column: str):  # noqa: ANN202
     return Window.orderBy(column)
 
 
-def _unit(features: list) -> F.Column:
-    v = F.array(*features)
-    n = F.sqrt(F.aggregate(v, F.lit(0.0), lambda s, x: s + x * x))
-    return F.transform(v, lambda x: F.when(n > 0, x / n).otherwise(0.0))
+def _unit(df: DataFrame, features: list, name: str = "features") -> DataFrame:
+    """df with a vector of norm 1.  Vector, norm and quotient are columns of their own, so none is worked out per entry."""
+    df = df.withColumn("_v", F.array(*features))
+    df = df.withColumn("_len", F.sqrt(F.aggregate("_v", F.lit(0.0), lambda s, x: s + x * x)))
+    return df.withColumn(name, F.transform("_v", lambda x: F.when(F.col("_len") > 0, x / F.col("_len")).otherwise(0.0))).drop("_v", "_len")
 
 
 #: Vocabulary of the categorical features, pinned.
@@ -82,7 +83,7 @@ def tab_logistic(spark: SparkSession, sf_dir: str, natural: bool = False) -> Dat
     feats += [(F.col("pr") == 49 + i).cast("double") for i in range(5)] + [(F.col("l_returnflag") == v).cast("double") for v in "ANR"]
     feats += [(F.col("l_linestatus") == v).cast("double") for v in "FO"] + [(F.col("c_mktsegment") == v).cast("double") for v in SEGMENTS]
     feats += [F.lit(0.0)] * (WIDTH - 1 - len(feats)) + [F.lit(1.0)]
-    rows = wide.select("sample_id", "owner", _unit(feats).alias("features"))
+    rows = _unit(wide, feats).select("sample_id", "owner", "features")
     teacher = F.array(*[F.lit(digest.normal_value("teacher", j)) for j in range(WIDTH)])
     rows = rows.withColumn("z", F.aggregate(F.zip_with("features", teacher, lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v))
     mid = rows.agg(F.percentile_approx("z", 0.5, 10_000).alias("mid"))
@@ -107,7 +108,8 @@ def doc_logistic(spark: SparkSession, sf_dir: str, label: str = "lang") -> DataF
     counts = tokens.groupBy("doc_id", "label", "h").agg(F.count(F.lit(1)).alias("n"), F.first("text").alias("text"))
     per = counts.groupBy("doc_id", "label").agg(F.map_from_entries(F.collect_list(F.when(F.col("h").isNotNull(), F.struct("h", F.col("n").cast("double"))))).alias("m"), F.first("text").alias("text"))
     feats = [F.coalesce(F.element_at("m", F.lit(i).cast("long")), F.lit(0.0)) for i in range(places)]
-    v = _unit(feats)
+    per = _unit(per, feats, "v")
+    v = F.col("v")
     if label != "lang":
         size = F.greatest(F.char_length("text"), F.lit(1)).cast("double")
         share = lambda pattern: F.char_length(F.regexp_replace("text", pattern, "")) / size
