@@ -11,6 +11,7 @@ from hushgrad.llm import (
     bpe,
     fingerprints,
     near_dedup,
+    oracle,
     packing,
     quality_classifier,
     quality_rules,
@@ -91,4 +92,4 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     )
 }
 
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = dict(oracle.SQL)
