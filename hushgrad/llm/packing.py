@@ -10,6 +10,7 @@ times as the counts allow, so the plan has few distinct combinations.
 
 Every piece then looks up its place by its length and its rank among the pieces
 of that length; ranks come from counts of small groups and their prefix sums.
+A length has as many groups as its pieces need.
 """
 
 from __future__ import annotations
@@ -84,6 +85,7 @@ _PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
 def _pieces(spec, style: str, capacity: int, end_id: int):  # noqa: ANN001
+    @words.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = bpe.encoder(spec.value, style)
         for batch in batches:
@@ -137,6 +139,7 @@ class Layout:
 
 
 def _placed(layout):  # noqa: ANN001
+    @words.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             length, rank = batch.column(3).to_numpy(), batch.column(5).to_numpy()
@@ -159,17 +162,15 @@ def pack(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int = END
     shared = spark.sparkContext.broadcast(spec)
     rows = docs.select(F.coalesce(F.col(id_col).cast("long"), F.expr(f"cast({LEAST} as long)")).alias("doc_id"), F.col(text_col).alias("text"))
     pieces = store.settle(rows.mapInArrow(_pieces(shared, bpe.style_of(spec), capacity, end_id), _PIECES), "pieces")
-    total = pieces.count()
-    groups = max(1, total // ROWS_PER_GROUP)
-    group = F.pmod(F.xxhash64("doc_id", "piece"), F.lit(groups)).cast("int")
-    counts = store.settle(pieces.groupBy("length", group.alias("g")).agg(F.count(F.lit(1)).alias("n")), "length-counts")
-    # at most `capacity` lengths
-    histogram = {r["length"]: r["n"] for r in counts.groupBy("length").agg(F.sum("n").alias("n")).collect()}
-    layout = spark.sparkContext.broadcast(Layout(plan(histogram, capacity)))
+    # at most `capacity` lengths; each has as many groups as its pieces need
+    lengths = store.settle(pieces.groupBy("length").agg(F.count(F.lit(1)).alias("n")), "lengths")
+    layout = spark.sparkContext.broadcast(Layout(plan({r["length"]: r["n"] for r in lengths.collect()}, capacity)))
+    groups = F.broadcast(lengths.select("length", F.ceil(F.col("n") / ROWS_PER_GROUP).alias("_groups")))
+    grouped = pieces.join(groups, "length").withColumn("g", F.pmod(F.xxhash64("doc_id", "piece"), F.col("_groups")).cast("int")).drop("_groups")
+    counts = store.settle(grouped.groupBy("length", "g").agg(F.count(F.lit(1)).alias("n")), "length-counts")
     before = counts.select("length", "g", F.expr("coalesce(sum(n) over (partition by length order by g rows between unbounded preceding and 1 preceding), 0L)").alias("_before"))
     ranked = (
-        pieces.withColumn("g", group)
-        .withColumn("_r", F.expr("row_number() over (partition by length, g order by doc_id, piece, ids_crc32)"))
+        grouped.withColumn("_r", F.expr("row_number() over (partition by length, g order by doc_id, piece, ids_crc32)"))
         .join(before, ["length", "g"])
         .select("doc_id", "piece", "start", "length", "ids_crc32", (F.col("_before") + F.col("_r") - 1).alias("rank"))
     )
