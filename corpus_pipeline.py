@@ -17,6 +17,7 @@ WORD_VOCABULARY = "word_bpe_49k.json"
 
 def apply_quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that fail the base rules or are depleted go; lines above the limit go from the rest."""
+    store.small_batches(spark)
     return quality_rules.filter_documents(docs)
 
 

@@ -232,6 +232,7 @@ def style_of(spec: str) -> str:
 
 
 def _round_trip(spec_shared, style: str):  # noqa: ANN001
+    @words.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = encoder(spec_shared.value, style)
         for batch in batches:
@@ -250,6 +251,7 @@ def _round_trip(spec_shared, style: str):  # noqa: ANN001
 
 
 def _digests(spec_shared, style: str):  # noqa: ANN001
+    @words.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in _round_trip(spec_shared, style)(batches):
             sha = [pa.array([hashlib.sha256(x.as_buffer()).hexdigest() for x in batch.column(c)], pa.string()) for c in (2, 3)]

@@ -116,6 +116,7 @@ def _with_next(p: Params):
             ["doc_id", "n_chars", "edited_sha256", "fp", "edited_fp", "near_edited", "near_next"],
         )
 
+    @words.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple[int, int, int, str]] = []
         size = 0

@@ -93,6 +93,7 @@ def circulant(p: Params):
 def _signed(p: Params, sign):  # noqa: ANN001
     k = p.bands * p.rows
 
+    @words.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for a, b, s in words.scans(words.as_texts(batch.column(1)), lower=True):
@@ -123,6 +124,7 @@ def _signed(p: Params, sign):  # noqa: ANN001
 
 
 def _sets(p: Params):
+    @words.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for a, b, s in words.scans(words.as_texts(batch.column(1)), lower=True):
@@ -138,6 +140,7 @@ def _sets(p: Params):
 def _confirm(percent: int):
     """Columns a, b, set of a, set of b (sorted 64-bit hashes): keeps the pairs that are linked."""
 
+    @words.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             xs, ys = batch.column(2), batch.column(3)
@@ -203,6 +206,7 @@ def _compare_blocks(percent: int):
                 out.append((reps[x], reps[y]))
         return out
 
+    @words.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         at, reps, comps, sets = None, [], [], []
 

@@ -94,6 +94,7 @@ def vectors(s: words.Scan, bits: int) -> tuple[np.ndarray, np.ndarray, np.ndarra
 
 
 def _vectors(bits: int):
+    @words.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for a, b, s in words.scans(words.as_texts(batch.column(1))):
@@ -163,6 +164,7 @@ def train(docs: DataFrame, labels: DataFrame, params: Params = Params(), id_col:
 
 
 def _scored(model):  # noqa: ANN001
+    @words.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for a, b, s in words.scans(words.as_texts(batch.column(1))):

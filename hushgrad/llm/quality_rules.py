@@ -116,6 +116,7 @@ def measures(s: words.Scan, window: int) -> dict[str, np.ndarray]:
 
 
 def _measured(window: int):
+    @words.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             text = words.as_texts(batch.column(2))
@@ -203,6 +204,7 @@ def evaluate(docs: DataFrame, rules: Rules = Rules(), id_col: str = "doc_id", te
     )
 
 
+@words.tidy
 def _without_lines(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Columns: text, hashes of lines to remove.  Appends the cleaned text."""
     for batch in batches:

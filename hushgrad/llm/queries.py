@@ -27,6 +27,7 @@ BYTE_VOCABULARY = "byte_bpe_50k.json"
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str = "documents") -> DataFrame:
+    store.small_batches(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 

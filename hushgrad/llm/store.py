@@ -55,6 +55,17 @@ def drop(df: DataFrame) -> None:
             p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
 
 
+BATCH_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch"
+MOST_ROWS = 2000
+
+
+def small_batches(spark: SparkSession) -> None:
+    """At most MOST_ROWS rows in an Arrow batch of this session: documents are long rows, and a batch
+    exists in the JVM and in the worker at once.  A smaller setting stays."""
+    if not 0 < int(spark.conf.get(BATCH_ROWS)) <= MOST_ROWS:
+        spark.conf.set(BATCH_ROWS, MOST_ROWS)
+
+
 def partitions(df: DataFrame, factor: int = 1) -> int:
     """Shuffle partitions of the session, times factor."""
     return max(1, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))) * factor

@@ -29,7 +29,7 @@ from hushgrad.llm import store, words
 U = np.uint64
 ROWS = 2
 CHUNK_LOG2 = 20
-FLUSH = 4_000_000
+FLUSH = 2_000_000
 
 
 @dataclass(frozen=True)
@@ -69,6 +69,7 @@ def ungaps(data: bytes) -> np.ndarray:
 
 
 def _sketch(k: int, log2: int):
+    @words.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[list[np.ndarray]] = [[] for _ in range(ROWS)]
         n = 0
@@ -107,6 +108,7 @@ def _sketch(k: int, log2: int):
     return run
 
 
+@words.tidy
 def _merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Partial sketches in order of (row, chunk); yields each chunk's bitmap of cells counted twice or more."""
     at, one, two = None, None, None
@@ -164,6 +166,7 @@ def build_sketch(texts: DataFrame, p: Params) -> Sketch:
 
 
 def _candidates(k: int, shared, base: int | None, shift: int):  # noqa: ANN001
+    @words.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids = batch.column(0).to_numpy(zero_copy_only=False).astype(np.int64)
@@ -190,6 +193,7 @@ def _candidates(k: int, shared, base: int | None, shift: int):  # noqa: ANN001
 
 
 def _strip(k: int, shared):  # noqa: ANN001
+    @words.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for a, b, s in words.scans(words.as_texts(batch.column(1))):
@@ -227,6 +231,7 @@ def _strip(k: int, shared):  # noqa: ANN001
     return run
 
 
+@words.tidy
 def _digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         h = [hashlib.sha256(x.as_buffer()).hexdigest() for x in batch.column(3)]

@@ -106,6 +106,7 @@ def _bucket_of(h: np.ndarray, buckets: int) -> np.ndarray:
 def _distinct(spec, style: str, buckets: int):  # noqa: ANN001
     """(bucket, sizes, bytes): the task's distinct travelling pre-tokens, about once each."""
 
+    @words.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = bpe.encoder(spec.value, style)
         recent = np.zeros(1 << 21, dtype=U)  # what this task has sent, as far as slots go
@@ -141,6 +142,7 @@ def _distinct(spec, style: str, buckets: int):  # noqa: ANN001
 def _count_pieces(spec, style: str):  # noqa: ANN001
     """Rows of _distinct in order of bucket; yields (bucket, hashes, pieces), each pre-token counted once."""
 
+    @words.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = bpe.encoder(spec.value, style)
         at, have = None, np.zeros(0, dtype=U)
@@ -179,6 +181,7 @@ _ROW = "bucket int, part int, kind int, block long, p1 binary, p2 binary, p3 bin
 def _frequencies(spec, style: str, buckets: int):  # noqa: ANN001
     """For each block of documents: a POSTINGS row for each bucket, and a DOCUMENTS row."""
 
+    @words.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
@@ -242,6 +245,7 @@ def _frequencies(spec, style: str, buckets: int):  # noqa: ANN001
     return run
 
 
+@words.tidy
 def _joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Rows in order of (bucket, part, kind): a bucket's counts, then what is to be looked up in them."""
     at, keys, values, ready = None, [], [], False
@@ -275,6 +279,7 @@ def _joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             )
 
 
+@words.tidy
 def _summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Rows in order of (block, kind): a block's documents, then its partial sums."""
     at, ids, size, total = None, None, None, None

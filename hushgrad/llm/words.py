@@ -2,19 +2,21 @@ r"""White-space words of whole Arrow batches, in vectorised numpy.
 
 A word is a maximal run of bytes outside 0x20 and 0x09-0x0D.  Documents lie
 side by side in one byte buffer; everything below works on that buffer at once,
-so there is no loop over words or documents.  Work goes in slices of about two
-megabytes (a longer document is one slice), which bounds memory.
+so there is no loop over words or documents.  Work goes in slices of about half
+a megabyte (a longer document is one slice), which bounds memory.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import ctypes
+import functools
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 
-SLICE_BYTES = 2 << 20
+SLICE_BYTES = 1 << 19
 U = np.uint64
 _BASE = {0: 0x9E3779B97F4A7C15, 1: 0xD6E8FEB86659FD93, 2: 0xA0761D6478BD642F}
 _MASK = (1 << 64) - 1
@@ -26,6 +28,23 @@ LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
 
 
+def tidy(f: Callable) -> Callable:
+    """A function over batches that gives freed memory back to the system when its task ends.
+
+    Workers are used again by later tasks, and what one has freed still counts as theirs.
+    """
+
+    @functools.wraps(f)
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from f(batches)
+        pa.default_memory_pool().release_unused()
+        trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+        if trim is not None:
+            trim(0)
+
+    return run
+
+
 def mix(x: np.ndarray) -> np.ndarray:
     """A bijective 64-bit finaliser."""
     x = x ^ (x >> U(30))
