@@ -6,7 +6,6 @@ samples: client_id, seq (0.. within a client), features, label, part ('train' or
 
 from __future__ import annotations
 
-import math
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
@@ -17,7 +16,7 @@ from hushgrad.functions import digest
 from hushgrad.sources.tables import load
 
 CLIENTS = 10
-BUCKETS = 256
+BUCKETS = 65_536
 
 
 def _rank(df: DataFrame, key: str, by: list[str], name: str) -> DataFrame:
@@ -33,24 +32,21 @@ def _rank(df: DataFrame, key: str, by: list[str], name: str) -> DataFrame:
 
 def dealt(df: DataFrame, key: str = "sample_id", natural: str | None = None) -> DataFrame:
     """Rows with client_id, seq and part.  A fifth is for testing; the rest goes to ten clients of
-    equal size by rank (the few rows that would make sizes unequal are left out), or to `natural` ones."""
+    sizes at most one apart, by rank, or to the clients that the column `natural` names."""
     ranked = _rank(df, key, [], "place")
     parts = ranked.withColumn("part", F.when(F.col("place") % 5 == 0, "test").otherwise("train"))
-    train = parts.filter("part = 'train'").withColumn("t", F.col("place") - F.floor(F.col("place") / 5) - 1)
+    test = parts.filter("part = 'test'").withColumn("client_id", F.lit(0)).withColumn("seq", F.lit(0).cast("long"))
+    train = parts.filter("part = 'train'")
     if natural:
-        train = _rank(train.withColumn("client_id", F.dense_rank().over(_by(natural)) - 1), key, ["client_id"], "seq")
-        return train.unionByName(parts.filter("part = 'test'").withColumn("t", F.lit(0).cast("long")).withColumn("client_id", F.lit(0)).withColumn("seq", F.lit(0).cast("long")))
-    train = train.withColumn("client_id", (F.col("t") % CLIENTS).cast("int")).withColumn("seq", F.floor(F.col("t") / CLIENTS))
-    test = parts.filter("part = 'test'").withColumn("t", F.lit(0).cast("long")).withColumn("client_id", F.lit(0)).withColumn("seq", F.lit(0).cast("long"))
+        # one row for each client is numbered, not one for each sample
+        names = train.select(natural).distinct().withColumn("client_id", F.expr(f"cast(row_number() over (order by {natural}) - 1 as int)"))
+        train = _rank(train.join(names, natural), key, ["client_id"], "seq")
+    else:
+        turn = F.col("place") - F.floor(F.col("place") / 5) - 1
+        train = train.withColumn("client_id", (turn % CLIENTS).cast("int")).withColumn("seq", F.floor(turn / CLIENTS))
     return train.unionByName(test)
 
 
-def _by(column: str):  # noqa: ANN202
-    from pyspark.sql import Window
-
-    return Window.orderBy(column)
-
-
 def _unit(df: DataFrame, features: list, name: str = "features") -> DataFrame:
     """df with a vector of norm 1.  Vector, norm and quotient are columns of their own, so none is worked out per entry."""
     df = df.withColumn("_v", F.array(*features))
@@ -103,7 +99,6 @@ def doc_logistic(spark: SparkSession, sf_dir: str, label: str = "lang") -> DataF
     places = 122 if label == "lang" else 119
     words = F.filter(F.split(F.lower("text"), "\\s+"), lambda w: w != "")
     hashed = F.transform(words, lambda w: F.pmod(F.xxhash64(w), F.lit(places)))
-    # counts by one pass over the words: an array of places, filled by a fold over sorted runs
     tokens = d.select("doc_id", y.alias("label"), "text", F.explode_outer(hashed).alias("h"))
     counts = tokens.groupBy("doc_id", "label", "h").agg(F.count(F.lit(1)).alias("n"), F.first("text").alias("text"))
     per = counts.groupBy("doc_id", "label").agg(F.map_from_entries(F.collect_list(F.when(F.col("h").isNotNull(), F.struct("h", F.col("n").cast("double"))))).alias("m"), F.first("text").alias("text"))
@@ -160,7 +155,11 @@ COMPARED = ("direct_sgd", "shifted_sgd", "shifted_svrg", "ldp_sgd", "ldp_svrg")
 
 
 def prepare(spark: SparkSession, name: str, sf_dir: str) -> tuple[DataFrame, DataFrame, int]:
-    """(training samples clustered by client and persisted, test samples, m)."""
+    """(training samples clustered by client and persisted, test samples, m).
+
+    The methods assume equally many samples on every client, so m is the smallest
+    client's number and samples numbered beyond it don't take part: at most one
+    for each of the ten equal clients."""
     w = WORKLOADS[name]
     rows = w.build(spark, sf_dir)
     train = rows.filter("part = 'train'").drop("part")
@@ -170,6 +169,3 @@ def prepare(spark: SparkSession, name: str, sf_dir: str) -> tuple[DataFrame, Dat
     train.count()
     return train, rows.filter("part = 'test'").drop("part").persist(), m
 
-
-def floor_k(d: int) -> int:
-    return math.floor(d / 20)

@@ -41,7 +41,7 @@ def assign_clients_hash(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Ten clients of equal size: rank of a digest, modulo ten.  The rank comes from digest buckets
     and the counts before them, so no task sorts the whole table."""
     d = load(spark, sf_dir, "documents").select("doc_id", digest.uniform("client", F.col("doc_id")).alias("u"))
-    d = d.withColumn("bucket", F.floor(F.col("u") * 64))
+    d = d.withColumn("bucket", F.floor(F.col("u") * 4096))
     counts = d.groupBy("bucket").agg(F.count(F.lit(1)).alias("n"))
     before = counts.select("bucket", F.expr("coalesce(sum(n) over (order by bucket rows between unbounded preceding and 1 preceding), 0L)").alias("before"))
     ranked = d.withColumn("r", F.expr("row_number() over (partition by bucket order by u, doc_id)")).join(F.broadcast(before), "bucket")
