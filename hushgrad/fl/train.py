@@ -69,6 +69,8 @@ class Run:
     p: float | None = None
     c: float = 1.0
     seed: int = 1
+    #: samples of each client, where they differ; a client then weighs n * m_i / sum of m
+    sizes: dict[int, int] | None = None
 
     def __post_init__(self) -> None:
         if self.privacy is not None and self.clip is None:
@@ -105,15 +107,32 @@ class Run:
 
     @property
     def sigma(self) -> float:
+        return self.sigma_of(None)
+
+    def m_of(self, client: int | None) -> int:
+        return self.sizes[client] if self.sizes and client is not None else self.m
+
+    def batch_of(self, client: int | None) -> int:
+        m = self.m_of(client)
+        return m if self.estimator == "gd" else min(m, self.batch)
+
+    def weight_of(self, client: int) -> float:
+        return len(self.sizes) * self.sizes[client] / sum(self.sizes.values()) if self.sizes else 1.0
+
+    def sigma_of(self, client: int | None) -> float:
+        """The noise of a client, for its own number of samples.  The weight comes after the noise,
+        so it doesn't touch the sensitivity."""
         if self.privacy is None:
             return 0.0
-        k = theory.constants(self.estimator, self.clip, 1.0, self.m, self.batch, self.refresh)
-        return math.sqrt(theory.noise_variance(k, self.rounds, self.m, self.privacy, self.c))
+        m = self.m_of(client)
+        k = theory.constants(self.estimator, self.clip, 1.0, m, self.batch_of(client), self.refresh)
+        return math.sqrt(theory.noise_variance(k, self.rounds, m, self.privacy, self.c))
 
     def sampled(self, client: int, seq: np.ndarray, t: int) -> np.ndarray:
-        if self.batch >= self.m:
+        m, b = self.m_of(client), self.batch_of(client)
+        if b >= m:
             return np.ones(len(seq), dtype=bool)
-        return digest.shuffled(seq, self.m, self.seed, client, t) < self.batch
+        return digest.shuffled(seq, m, self.seed, client, t) < b
 
     def coin(self, t: int) -> bool:
         """Whether the snapshot moves to the model of round t (one coin for all clients)."""
@@ -216,17 +235,17 @@ _CLIENT = "kind string, run string, client_id long, shift binary, table binary,
 def client_step(run: Run, view: View, client: int, g: np.ndarray, full: np.ndarray, shift: np.ndarray, table: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Noise, then compression of the difference to the reference; returns (coords, values, new shift, new table)."""
     if (run.estimator == "svrg" and run.name in view.full) or (run.estimator == "saga" and view.t == 0):
-        table = full / run.m
-    estimate = g / run.batch
+        table = full / run.m_of(client)
+    estimate = g / run.batch_of(client)
     if run.estimator in ("svrg", "saga"):
         if run.estimator == "saga":
-            after = table + g / run.m
+            after = table + g / run.m_of(client)
         else:
             after = table
         estimate = estimate + table
         table = after
     # noise once for a client and round, whatever partitions its samples came from
-    noisy = estimate + run.sigma * digest.philox(run.seed, client, view.t, 1).standard_normal(run.d)
+    noisy = estimate + run.sigma_of(client) * digest.philox(run.seed, client, view.t, 1).standard_normal(run.d)
     at, v = run.squeeze.apply(noisy - shift, digest.philox(run.seed, client, view.t, 2))
     if run.shifted:
         shift = shift.copy()
@@ -246,7 +265,7 @@ def _clients(runs: dict[str, Run], view):  # noqa: ANN001
         shift, table = (np.frombuffer(state[c].iloc[0]) for c in ("shift", "table")) if len(state) else (zero, zero)
         at, v, shift, table = client_step(run, view.value, int(key[1]), total("g"), total("full"), shift, table)
         return pd.DataFrame(
-            [("message", key[0], key[1], shift.tobytes(), table.tobytes(), at.astype("<i4").tobytes(), v.astype("<f8").tobytes(), int(sums["used"].sum()), int(sums["cut"].sum()))],
+            [("message", key[0], key[1], shift.tobytes(), table.tobytes(), at.astype("<i4").tobytes(), (run.weight_of(int(key[1])) * v).astype("<f8").tobytes(), int(sums["used"].sum()), int(sums["cut"].sum()))],
             columns=[c.split()[0] for c in _CLIENT.split(", ")],
         )
 
@@ -286,12 +305,15 @@ def evaluate(loss, data: DataFrame, models: dict[str, np.ndarray], clip: float |
         )
 
     rows = data.select("client_id", "seq", "features", "label").mapInArrow(go, "run string, n long, loss double, right long, g binary, cut long")
-    # one small row for each partition and model; summed two at a time on the executors
-    out: dict[str, list] = {}
-    for r in sorted(rows.toLocalIterator(), key=lambda r: (r["run"], r["n"], r["loss"])):
-        have = out.setdefault(r["run"], [0, 0.0, 0, 0.0, 0])
-        for i, v in enumerate((r["n"], r["loss"], r["right"], np.frombuffer(r["g"]), r["cut"])):
-            have[i] = have[i] + v
+    # one small row for each partition and model, added up for each model in a fixed order
+
+    def add(key, part: pd.DataFrame) -> pd.DataFrame:  # noqa: ANN001
+        part = part.sort_values(["n", "loss", "g"])
+        g = np.sum([np.frombuffer(x) for x in part["g"]], axis=0)
+        return pd.DataFrame({"run": [key[0]], "n": [part["n"].sum()], "loss": [part["loss"].sum()], "right": [part["right"].sum()], "g": [g.tobytes()], "cut": [part["cut"].sum()]})
+
+    total = rows.groupBy("run").applyInPandas(add, rows.schema).collect()
+    out = {r["run"]: (r["n"], r["loss"], r["right"], np.frombuffer(r["g"]), r["cut"]) for r in total}
     return {
         k: {"loss": v[1] / v[0], "accuracy": v[2] / v[0], "grad_sq": float(((v[3] / v[0]) ** 2).sum()), "clipped_share": v[4] / v[0]} for k, v in out.items() if v[0]
     }

@@ -159,13 +159,18 @@ def prepare(spark: SparkSession, name: str, sf_dir: str) -> tuple[DataFrame, Dat
 
     The methods assume equally many samples on every client, so m is the smallest
     client's number and samples numbered beyond it don't take part: at most one
-    for each of the ten equal clients."""
-    w = WORKLOADS[name]
-    rows = w.build(spark, sf_dir)
+    for each of the ten equal clients.
+    """
+    rows = WORKLOADS[name].build(spark, sf_dir)
     train = rows.filter("part = 'train'").drop("part")
-    sizes = train.groupBy("client_id").agg(F.count(F.lit(1)).alias("m")).agg(F.min("m")).first()[0]
-    m = int(sizes)
+    m = int(train.groupBy("client_id").agg(F.count(F.lit(1)).alias("m")).agg(F.min("m")).first()[0])
     train = train.filter(F.col("seq") < m).repartition(CLIENTS, "client_id").persist()
-    train.count()
     return train, rows.filter("part = 'test'").drop("part").persist(), m
 
+
+def prepare_natural(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, dict[int, int]]:
+    """tab_logistic with a client for each supplier: all samples, and the clients' sizes for `train.Run`."""
+    rows = tab_logistic(spark, sf_dir, natural=True)
+    train = rows.filter("part = 'train'").drop("part").repartition("client_id").persist()
+    sizes = {r["client_id"]: r["m"] for r in train.groupBy("client_id").agg(F.count(F.lit(1)).alias("m")).collect()}
+    return train, rows.filter("part = 'test'").drop("part").persist(), sizes

@@ -79,3 +79,19 @@ def test_full_batch_sgd_is_gd_and_no_compression_is_plain(samples, data):
 def test_more_noise_for_less_eps(samples):
     r = [train.Run(str(e), "direct_sgd", 4, 0.5, 0.5, M, D, theory.PrivacySpec(e), b=6) for e in (1.0, 2.0)]
     assert r[0].sigma == pytest.approx(2 * r[1].sigma)
+
+
+def test_unequal_clients_weigh_by_their_samples(spark, data):
+    """Full gradients of clients of 24, 12 and 6 samples give the gradient of all their samples."""
+    a, y = data
+    sizes = {0: 24, 1: 12, 2: 6}
+    rows = [(c, s, a[c, s].tolist(), float(y[c, s])) for c, m in sizes.items() for s in range(m)]
+    df = spark.createDataFrame(rows, "client_id long, seq long, features array<double>, label double")
+    x, _ = train.train(df, [train.Run("u", "ldp_gd", 2, 0.5, None, M, D, sizes=sizes)], LOSS, eval_every=1)
+    want = LOSS.start(D)
+    fa, fy = np.concatenate([a[c, :m] for c, m in sizes.items()]), np.concatenate([y[c, :m] for c, m in sizes.items()])
+    for _ in range(2):
+        want = want - 0.5 * losses.summed(LOSS, fa, fy, want, None)[0] / len(fy)
+    assert x["u"] == pytest.approx(want, abs=1e-12)
+    small = train.Run("v", "direct_sgd", 2, 0.5, 0.5, M, D, theory.PrivacySpec(1.0), b=6, sizes=sizes)
+    assert small.sigma_of(2) == pytest.approx(4 * small.sigma_of(0))
