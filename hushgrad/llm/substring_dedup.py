@@ -21,8 +21,9 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from hushgrad.llm import store, words
 
@@ -192,7 +193,7 @@ def _candidates(k: int, shared, base: int | None, shift: int):  # noqa: ANN001
     return run
 
 
-def _strip(k: int, shared):  # noqa: ANN001
+def _strip(k: int, shared, keep: bool = False):  # noqa: ANN001
     @words.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -224,8 +225,10 @@ def _strip(k: int, shared):  # noqa: ANN001
                         pa.array(s.counts.astype(np.int64)),
                         pa.array(np.diff(removed).astype(np.int64)),
                         pa.array(kept, pa.binary()).cast(pa.string()),
+                        *(c.slice(a, n) for c in batch.columns[3:]),  # what travels with the document
+                        *([batch.column(1).slice(a, n)] if keep else []),
                     ],
-                    ["doc_id", "n_words", "n_removed", "kept_text"],
+                    ["doc_id", "n_words", "n_removed", "kept_text", *batch.schema.names[3:], *(["_hg_text"] if keep else [])],
                 )
 
     return run
@@ -245,34 +248,45 @@ def _both(one, two):  # noqa: ANN001, ANN202
 LEAST = -(1 << 63)
 
 
-def strip_repeats(docs: DataFrame, params: Params = Params(), id_col: str = "doc_id", text_col: str = "text", digest: bool = False) -> DataFrame:
-    """doc_id, n_words, n_removed, and kept_text (or kept_sha256 with digest).
-
-    Words of kept_text are joined by one space.  Null texts are empty; a null id
-    stands for the least long inside and comes back as null; texts shorter than
-    a window never change; equal windows of rows that repeat an id at the same
-    start are each a first occurrence, so repeated rows stay alike; an empty
-    table gives no rows.
-    """
-    spark, p = docs.sparkSession, params
-    rows = docs.select(F.coalesce(F.col(id_col).cast("long"), F.expr(f"cast({LEAST} as long)")).alias("doc_id"), F.col(text_col).alias("text"))
+def _with_first_occurrences(rows: DataFrame, p: Params) -> tuple[DataFrame, object]:
+    """rows (doc_id, text, ...) with _starts, the windows of each document that are first occurrences, after text; and the sketch."""
+    spark = rows.sparkSession
+    slim = rows.select("doc_id", "text")
     shared = spark.sparkContext.broadcast(build_sketch(rows.select("text"), p))
-    stats = rows.agg(F.min("doc_id"), F.max("doc_id"), F.max(F.octet_length("text"))).first()
+    stats = slim.agg(F.min("doc_id"), F.max("doc_id"), F.max(F.octet_length("text"))).first()
     low, high, longest = stats[0] or 0, stats[1] or 0, stats[2] or 0
     # id and start share one long where they fit, which keeps the aggregate in hash tables of fixed rows
     shift = (longest // 2 + 1).bit_length()
     if shift + (high - low).bit_length() <= 62:
-        found = rows.mapInArrow(_candidates(p.window, shared, low, shift), "h1 long, h2 long, spot long")
+        found = slim.mapInArrow(_candidates(p.window, shared, low, shift), "h1 long, h2 long, spot long")
         firsts = found.groupBy("h1", "h2").agg(F.min("spot").alias("spot"))
         firsts = firsts.select(
             (F.shiftrightunsigned("spot", shift) + F.lit(low)).alias("_d"), F.col("spot").bitwiseAND(F.lit((1 << shift) - 1)).cast("int").alias("_s")
         )
     else:
-        found = rows.mapInArrow(_candidates(p.window, shared, None, 0), "h1 long, h2 long, doc long, start long")
+        found = slim.mapInArrow(_candidates(p.window, shared, None, 0), "h1 long, h2 long, doc long, start long")
         firsts = found.groupBy("h1", "h2").agg(F.min(F.struct("doc", "start")).alias("x")).select(F.col("x.doc").alias("_d"), F.col("x.start").cast("int").alias("_s"))
     lists = firsts.groupBy("_d").agg(F.collect_list("_s").alias("_starts"))
-    joined = rows.join(lists, F.col("doc_id") == F.col("_d"), "left").select("doc_id", "text", F.coalesce("_starts", F.array().cast("array<int>")).alias("_starts"))
-    strip = _strip(p.window, shared)
+    others = [c for c in rows.columns if c not in ("doc_id", "text")]
+    joined = rows.join(lists, F.col("doc_id") == F.col("_d"), "left")
+    return joined.select("doc_id", "text", F.coalesce("_starts", F.array().cast("array<int>")).alias("_starts"), *others), shared
+
+
+def _keyed(docs: DataFrame, id_col: str, text_col: str, *others: Column) -> DataFrame:
+    return docs.select(F.coalesce(F.col(id_col).cast("long"), F.expr(f"cast({LEAST} as long)")).alias("doc_id"), F.col(text_col).alias("text"), *others)
+
+
+def strip_repeats(docs: DataFrame, params: Params = Params(), id_col: str = "doc_id", text_col: str = "text", digest: bool = False) -> DataFrame:
+    """doc_id, n_words, n_removed, and kept_text (or kept_sha256 with digest).
+
+    Words of kept_text are joined by one space.  Null texts are empty; a null id
+    stands for the least long inside and comes back as null; texts shorter than
+    a window never change; equal windows of rows that repeat an id at the same
+    start are each a first occurrence, so repeated rows stay alike; an empty
+    table gives no rows.
+    """
+    joined, shared = _with_first_occurrences(_keyed(docs, id_col, text_col), params)
+    strip = _strip(params.window, shared)
     if digest:
         out = joined.mapInArrow(_both(strip, _digest), "doc_id long, n_words long, n_removed long, kept_sha256 string")
     else:
@@ -284,21 +298,25 @@ def filter_documents(docs: DataFrame, params: Params = Params(), id_col: str = "
     """docs with repeated passages cut from the texts, in the columns of docs.
 
     Only documents that lose words change (their words are then joined by one
-    space); one that loses every word goes.  Rows that repeat an id must repeat
-    the text.
+    space); one that loses every word goes.  Rows travel whole, in one shuffle.
     """
-    cut = strip_repeats(docs, params, id_col, text_col).filter("n_removed > 0").select(
-        F.col("doc_id").alias("_hg_cut"), F.col("kept_text").alias("_hg_new")
-    ).dropDuplicates(["_hg_cut"])
-    packed = docs.select(F.col(id_col).alias("_hg_id"), F.col(text_col).alias("_hg_text"), F.struct(*[c for c in docs.columns if c != text_col]).alias("_hg_row"))
-    joined = packed.join(cut, F.col("_hg_id").eqNullSafe(F.col("_hg_cut")), "left").withColumn("_hg_text", F.coalesce("_hg_new", "_hg_text"))
-    joined = joined.filter("_hg_new is null or _hg_new <> ''")
-    out = []
+    rest = [c for c in docs.columns if c != text_col]
+    # the text as it was travels once, as the column that the windows are read from
+    row = F.struct(*rest).alias("_hg_row")
+    joined, shared = _with_first_occurrences(_keyed(docs, id_col, text_col, row), params)
+    schema = T.StructType(
+        [T.StructField("doc_id", T.LongType()), *(T.StructField(c, T.LongType()) for c in ("n_words", "n_removed")), T.StructField("kept_text", T.StringType()), joined.schema["_hg_row"], T.StructField("_hg_text", T.StringType())]
+    )
+    out = joined.mapInArrow(_strip(params.window, shared, keep=True), schema).filter("n_removed = 0 or kept_text <> ''")
+    cut = F.col("n_removed") > 0
+    made = []
     for name in docs.columns:
         if name == text_col:
-            out.append(F.col("_hg_text").alias(name))
-        elif length_col and name == length_col:
-            out.append(F.when(F.col("_hg_new").isNotNull(), F.char_length("_hg_new")).otherwise(F.col("_hg_row").getField(name)).cast(docs.schema[name].dataType).alias(name))
+            made.append(F.when(cut, F.col("kept_text")).otherwise(F.col("_hg_text")).alias(name))
+            continue
+        old = F.col("_hg_row").getField(name)
+        if length_col and name == length_col:
+            made.append(F.when(cut, F.char_length("kept_text").cast(docs.schema[name].dataType)).otherwise(old).alias(name))
         else:
-            out.append(F.col("_hg_row").getField(name).alias(name))
-    return joined.select(*out)
+            made.append(old.alias(name))
+    return out.select(*made)
