@@ -16,6 +16,7 @@ worker and the broadcast; beyond that more windows pass and the result is the sa
 from __future__ import annotations
 
 import hashlib
+import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -141,6 +142,13 @@ class Sketch:
     def __init__(self, log2: int, bits: list[bytes]) -> None:
         self.log2, self.bits = log2, bits
 
+    def __getstate__(self) -> tuple[int, list[bytes]]:
+        # few cells are set, so what is sent and stored on every machine is far smaller than the bitmaps
+        return self.log2, [zlib.compress(b, 1) for b in self.bits]
+
+    def __setstate__(self, state: tuple[int, list[bytes]]) -> None:
+        self.log2, self.bits = state[0], [zlib.decompress(b) for b in state[1]]
+
     def passes(self, h1: np.ndarray, h2: np.ndarray) -> np.ndarray:
         ok = np.ones(len(h1), dtype=bool)
         for data, c in zip(self.bits, cells(h1, h2, self.log2), strict=True):
