@@ -26,6 +26,7 @@ from hushgrad.llm import near_dedup, store, words
 
 U = np.uint64
 NONE = (1 << 64) - 1
+EXACT = 1 << 53
 
 
 @dataclass(frozen=True)
@@ -79,13 +80,26 @@ def _buckets(bounds: np.ndarray):
 
 
 def id_bounds(ids: DataFrame, n: int) -> np.ndarray:
-    """Least ids of at most n buckets of about equal size; every bound is an id of the table."""
+    """Least ids of at most n buckets of about equal size; every bound is an id of the table.
+
+    Quantiles are ids as doubles, which are exact up to 2**53.  Beyond, they only
+    part the table, and the least id of each part is its bound.
+    """
     name = ids.columns[0]
-    low = ids.agg(F.min(name)).first()[0]
+    low, high = ids.agg(F.min(name), F.max(name)).first()
     if low is None:
         return np.zeros(0, dtype=np.int64)
     cuts = ids.approxQuantile(name, [i / n for i in range(1, n)], 0.2 / n) if n > 1 else []
-    return np.unique(np.array([low, *map(int, cuts)], dtype=np.int64))
+    bounds = np.unique(np.array([low, *(min(max(int(c), low), high) for c in cuts)], dtype=np.int64))
+    if -EXACT <= low and high <= EXACT:
+        return bounds
+
+    @F.pandas_udf("int")
+    def part(v: pd.Series) -> pd.Series:
+        return pd.Series(np.searchsorted(bounds, v.to_numpy(dtype=np.int64), side="right").astype(np.int32))
+
+    least = ids.groupBy(part(name).alias("part")).agg(F.min(name).alias("least")).collect()
+    return np.array(sorted(r["least"] for r in least), dtype=np.int64)
 
 
 _OUT = "doc_id long, n_chars long, edited_sha256 string, fp binary, edited_fp binary, near_edited double, near_next double"
@@ -97,11 +111,14 @@ def _with_next(p: Params):
     def emit(rows: list[tuple[int, int, int, str]]) -> Iterator[pa.RecordBatch]:
         # the last row only serves as the next of the one before it
         n = len(rows) - 1
+        for i in range(n):
+            if not rows[i][1] and rows[i][0] != rows[i + 1][0]:
+                raise ValueError(f"no next document for {rows[i][2]}")
         texts = [r[3] for r in rows]
         cut = [t[: len(t) - len(t) // 4] + texts[i + 1][: len(t) // 4] for i, t in enumerate(texts[:n])]
         own = short_code(signatures(pa.array(texts, pa.large_string()), p))
         changed = short_code(signatures(pa.array(cut, pa.large_string()), p))
-        use = [i for i in range(n) if not rows[i][1] and rows[i][0] == rows[i + 1][0]]
+        use = [i for i in range(n) if not rows[i][1]]
         pick = np.array(use, dtype=np.int64)
         yield pa.RecordBatch.from_arrays(
             [
@@ -127,6 +144,8 @@ def _with_next(p: Params):
                 if size > words.SLICE_BYTES:
                     yield from emit(held)
                     held, size = held[-1:], len(row[3])
+        if held and not held[-1][1]:
+            raise ValueError(f"no next document for {held[-1][2]}")
         if len(held) > 1:
             yield from emit(held)
 

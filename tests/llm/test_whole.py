@@ -1,10 +1,15 @@
 """Inputs on which less than the whole job was done before."""
 
+import hashlib
 import random
 
 import corpus_pipeline
+import pyarrow as pa
+import pytest
 from test_operators import group
 
+from hushgrad.llm import fingerprints
+
 
 def by_id(df):
     return {r["doc_id"]: r for r in df.collect()}
@@ -30,3 +35,27 @@ def test_near_stage_links_from_eight_tenths(spark):
     assert len(kept) < len({c for _, c in at_85.values()})
     df = spark.createDataFrame(rows, "doc_id long, text string")
     assert set(by_id(corpus_pipeline.apply_near_dedup(spark, df, ""))) == kept
+
+
+def test_fingerprints_of_hashed_ids(spark):
+    rng = random.Random(4)
+    ids = [rng.randrange(1 << 62) for _ in range(2000)] + [-(1 << 63) + 1, (1 << 63) - 1, (1 << 63) - 2]
+    rows = [(i, f"text {i} " + " ".join(rng.choice("abc") for _ in range(12))) for i in ids]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    bounds = fingerprints.id_bounds(df.select("doc_id"), 12)
+    assert len(bounds) > 6 and set(bounds.tolist()) <= set(ids)
+    out = by_id(fingerprints.fingerprint_with_edit(df))
+    assert len(out) == len(rows)
+    order = sorted(rows)
+    for (i, t), (_, u) in zip(order, order[1:] + order[:1], strict=True):
+        cut = len(t) // 4
+        assert out[i]["edited_sha256"] == hashlib.sha256((t[: len(t) - cut] + u[:cut]).encode()).hexdigest()
+
+
+def test_fingerprints_refuse_a_range_without_next():
+    cols = {"bucket": [0, 0, 1, 1], "lead": [0, 0, 0, 1], "doc_id": [1, 2, 3, 1], "text": ["a", "b", "c", "a"]}
+    batch = pa.RecordBatch.from_pydict(cols)
+    with pytest.raises(ValueError, match="no next document for 2"):
+        list(fingerprints._with_next(fingerprints.Params())(iter([batch])))
+    with pytest.raises(ValueError, match="no next document for 3"):
+        list(fingerprints._with_next(fingerprints.Params())(iter([batch.slice(2, 1)])))
