@@ -20,9 +20,12 @@ NEAR = near_dedup.Params(percent=80, bands=32, rows=4)
 
 
 def apply_quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that fail the base rules or are depleted go; lines above the limit go from the rest."""
+    """Documents that fail the base rules or are depleted go; lines above the limit go from the rest.
+
+    A group of near copies counts as one document, or all of it would lose the lines it shares before
+    near-dedup can keep one."""
     store.small_batches(spark)
-    return quality_rules.filter_documents(docs)
+    return quality_rules.filter_documents(docs, near=NEAR)
 
 
 def apply_quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -294,8 +294,9 @@ def components(docs: DataFrame, params: Params = Params(), id_col: str = "doc_id
     heads = (
         filled.join(classes, ["d1", "d2"])
         .filter("doc_id = rep")
-        .select("rep", F.col("n_shingles").alias("n"), F.explode("bands").alias("band"))
+        .select("rep", F.col("n_shingles").alias("n"), "bands")
         .distinct()
+        .select("rep", "n", F.explode("bands").alias("band"))
     )
     heads = store.settle(heads, "heads")
     crowded = heads.groupBy("band").agg(F.count(F.lit(1)).alias("m")).filter("m > 1").select("band")

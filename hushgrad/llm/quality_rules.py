@@ -5,8 +5,9 @@ in how many distinct documents of the same host each occurs, removes the lines
 above the limit, and rejects a document of which too little is left.
 
 Exact copies of a text count as one document, so a duplicated page does not
-turn its own lines into boilerplate.  The limit is a share of the host's
-distinct documents (with a floor), so it means the same at every table size.
+turn its own lines into boilerplate; where asked for, near copies count as one
+as well.  The limit is a share of the host's distinct documents (with a floor),
+so it means the same at every table size.
 """
 
 from __future__ import annotations
@@ -21,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from hushgrad.llm import store, words
+from hushgrad.llm import near_dedup, store, words
 
 SYMBOLS = np.zeros(256, dtype=bool)
 SYMBOLS[[ord(c) for c in "#*$%&|<>"]] = True
@@ -144,17 +145,26 @@ def _measured(window: int):
     return run
 
 
-def frequent_lines(measured: DataFrame, rules: Rules) -> DataFrame:
-    """(source, hash): lines above the limit of their host."""
+def near_units(docs: DataFrame, near: near_dedup.Params, text_col: str = "text") -> DataFrame:
+    """(text_hash, unit): the group of near copies of each distinct text."""
+    texts = docs.select(F.coalesce(F.col(text_col), F.lit("")).alias("text")).withColumn("text_hash", _text_hash("text"))
+    # equal ids are equal texts here, so repeated rows are one member of their group
+    found = near_dedup.components(texts, near, "text_hash", "text")
+    units = found.select(F.col("doc_id").alias("text_hash"), F.coalesce("component_id", "doc_id").alias("unit"))
+    return store.settle(units.filter("text_hash is not null").distinct(), "near-units")
+
+
+def frequent_lines(measured: DataFrame, rules: Rules, units: DataFrame | None = None) -> DataFrame:
+    """(source, hash): lines above the limit of their host.  units: what counts as one document, if not a text."""
     each = measured.select("source", "text_hash", F.explode("lines").alias("l"))
-    counts = (
-        each.select("source", F.col("l.hash").alias("hash"), "text_hash")
-        .distinct()
-        .groupBy("source", "hash")
-        .agg(F.count(F.lit(1)).alias("n_docs"))
-        .filter(F.col("n_docs") > rules.min_line_docs)
-    )
-    hosts = measured.select("source", "text_hash").distinct().groupBy("source").agg(F.count(F.lit(1)).alias("host_docs"))
+    each = each.select("source", F.col("l.hash").alias("hash"), "text_hash").distinct()
+    texts = measured.select("source", "text_hash").distinct()
+    if units is not None:
+        unit = F.coalesce("unit", "text_hash").alias("text_hash")
+        each = each.join(units, "text_hash", "left").select("source", "hash", unit).distinct()
+        texts = texts.join(units, "text_hash", "left").select("source", unit).distinct()
+    counts = each.groupBy("source", "hash").agg(F.count(F.lit(1)).alias("n_docs")).filter(F.col("n_docs") > rules.min_line_docs)
+    hosts = texts.groupBy("source").agg(F.count(F.lit(1)).alias("host_docs"))
     return (
         counts.join(hosts, "source")
         .filter(F.col("n_docs") > rules.line_share * F.col("host_docs"))
@@ -162,13 +172,16 @@ def frequent_lines(measured: DataFrame, rules: Rules) -> DataFrame:
     )
 
 
-def evaluate(docs: DataFrame, rules: Rules = Rules(), id_col: str = "doc_id", text_col: str = "text", host_col: str | None = "source") -> tuple[DataFrame, DataFrame]:
+def evaluate(docs: DataFrame, rules: Rules = Rules(), id_col: str = "doc_id", text_col: str = "text", host_col: str | None = "source", near: near_dedup.Params | None = None) -> tuple[DataFrame, DataFrame]:
     """(verdicts, lines to remove).
 
     verdicts: doc_id, n_words, word_chars, n_symbols, n_dup_lines,
     n_repeat_words, base_failed, n_line_words_removed, kept, source.
     lines to remove: source, hash, n_docs.
 
+    near: texts that it links count as one document of their host, so a large
+    group of near copies doesn't turn the lines it shares into boilerplate.
+
     A null text is empty and fails the base rule; a null host is a host of its
     own; repeated rows are judged alike (they count as one document of their
     host); an empty table gives none.
@@ -176,7 +189,8 @@ def evaluate(docs: DataFrame, rules: Rules = Rules(), id_col: str = "doc_id", te
     host = F.coalesce(F.col(host_col).cast("string"), F.lit("")) if host_col else F.lit("")
     slim = docs.select(F.col(id_col).alias("doc_id"), host.alias("source"), F.col(text_col).alias("text"))
     measured = store.settle(slim.mapInArrow(_measured(rules.repeat_window), _SCHEMA), "line-measures")
-    hot = store.settle(frequent_lines(measured, rules), "hot-lines")
+    units = near_units(slim, near) if near else None
+    hot = store.settle(frequent_lines(measured, rules, units), "hot-lines")
     lost = (
         measured.select("doc_id", "text_hash", "source", F.explode("lines").alias("l"))
         .select("doc_id", "text_hash", "source", F.col("l.hash").alias("hash"), F.col("l.n_words").alias("w"))
@@ -225,12 +239,12 @@ def _without_lines(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
         yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out, pa.string())], [*batch.schema.names, "_hg_clean"])
 
 
-def filter_documents(docs: DataFrame, rules: Rules = Rules(), id_col: str = "doc_id", text_col: str = "text", host_col: str = "source", length_col: str | None = "n_chars") -> DataFrame:
+def filter_documents(docs: DataFrame, rules: Rules = Rules(), id_col: str = "doc_id", text_col: str = "text", host_col: str = "source", length_col: str | None = "n_chars", near: near_dedup.Params | None = None) -> DataFrame:
     """The kept documents with the lines above the limit removed, in the columns of docs.
 
     Only texts that hold such a line change; length_col, where present, follows.
     """
-    verdicts, hot = evaluate(docs, rules, id_col, text_col, host_col)
+    verdicts, hot = evaluate(docs, rules, id_col, text_col, host_col, near)
     # all columns travel in one struct, so no name of the input can clash
     packed = docs.select(
         F.col(id_col).alias("_hg_id"),

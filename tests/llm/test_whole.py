@@ -8,7 +8,7 @@ import pyarrow as pa
 import pytest
 from test_operators import group
 
-from hushgrad.llm import fingerprints
+from hushgrad.llm import fingerprints, quality_rules, store
 
 
 def by_id(df):
@@ -59,3 +59,34 @@ def test_fingerprints_refuse_a_range_without_next():
         list(fingerprints._with_next(fingerprints.Params())(iter([batch])))
     with pytest.raises(ValueError, match="no next document for 3"):
         list(fingerprints._with_next(fingerprints.Params())(iter([batch.slice(2, 1)])))
+
+
+def test_one_of_a_large_group_of_near_copies_survives(spark):
+    d = "/root/testdata/sf0.001"
+    docs = spark.read.parquet(f"{d}/documents.parquet")
+    alone = docs
+    for _, stage in corpus_pipeline.STAGES[:3]:
+        alone = store.settle(stage(spark, alone, d), "alone")
+    # the longest text of many lines that passes the stages
+    model = max((r for r in alone.collect() if r["text"].count("\n") > 4), key=lambda r: len(r["text"])).asDict()
+    lines, rows = model["text"].split("\n"), []
+    at = [(k, j) for k, x in enumerate(lines) for j in range(len(x.split()))]
+    for i in range(60):
+        copy = [x.split(" ") for x in lines]
+        k, j = at[i * 7 % len(at)]
+        copy[k][min(j, len(copy[k]) - 1)] = f"changed{i}"
+        text = "\n".join(map(" ".join, copy))
+        rows.append({**model, "doc_id": 10**6 + i, "text": text, "source": "one.example", "n_chars": len(text)})
+    boiler = "all rights reserved by the owners of this page"
+    for i in range(60):
+        text = "\n".join(" ".join(f"u{i}v{k}w{j}" for j in range(12)) for k in range(6)) + "\n" + boiler
+        rows.append({**model, "doc_id": 2 * 10**6 + i, "text": text, "source": "one.example", "n_chars": len(text)})
+    group_ = spark.createDataFrame(rows, docs.schema)
+    verdicts, hot = quality_rules.evaluate(group_)
+    assert not any(r["kept"] for r in verdicts.collect() if r["doc_id"] < 2 * 10**6) and hot.count() > 1
+    verdicts, hot = quality_rules.evaluate(group_, near=corpus_pipeline.NEAR)
+    assert all(r["kept"] for r in verdicts.collect()) and [r["n_docs"] for r in hot.collect()] == [60]
+    now = docs.filter(docs["doc_id"] != model["doc_id"]).union(group_)
+    for _, stage in corpus_pipeline.STAGES[:3]:
+        now = store.settle(stage(spark, now, d), "with-group")
+    assert [r["doc_id"] for r in now.collect() if 10**6 <= r["doc_id"] < 2 * 10**6] == [10**6]
