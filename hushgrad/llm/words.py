@@ -28,23 +28,41 @@ LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
 
 
-def tidy(f: Callable) -> Callable:
-    """A function over batches that gives freed memory back to the system when its task ends.
+def give_back() -> None:
+    """Freed memory back to the system: workers are used again by later tasks, and what one has freed still counts as theirs."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
 
-    Workers are used again by later tasks, and what one has freed still counts as theirs.
-    """
+def tidy(f: Callable) -> Callable:
+    """A function over batches that gives freed memory back when its task ends."""
 
     @functools.wraps(f)
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield from f(batches)
-        pa.default_memory_pool().release_unused()
-        trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
-        if trim is not None:
-            trim(0)
+        give_back()
 
     return run
 
 
+def tidy_group(f: Callable) -> Callable:
+    """A function of one or two tables (Spark counts its arguments) that gives freed memory back after each group."""
+
+    def one(table: pa.Table) -> pa.Table:
+        out = f(table)
+        give_back()
+        return out
+
+    def two(table: pa.Table, side: pa.Table) -> pa.Table:
+        out = f(table, side)
+        give_back()
+        return out
+
+    return one if f.__code__.co_argcount == 1 else two
+
+
 def mix(x: np.ndarray) -> np.ndarray:
     """A bijective 64-bit finaliser."""
     x = x ^ (x >> U(30))

@@ -111,9 +111,9 @@ def strip(rows, k=20):
     return out
 
 
-@pytest.mark.parametrize("log2", [20, 29])
-def test_substring_dedup(docs, rows, empty, log2):
-    p = substring_dedup.Params(max_cells_log2=20 if log2 == 20 else 29)
+@pytest.mark.parametrize("entries", [2048, 4])
+def test_substring_dedup(docs, rows, empty, entries):
+    p = substring_dedup.Params(part_entries=entries, slice_bytes=1 << 14)
     want = strip(rows)
     for i, r in by_id(substring_dedup.strip_repeats(docs, p)).items():
         assert (r["n_words"], r["n_removed"], r["kept_text"]) == want[i], i
@@ -124,10 +124,43 @@ def test_substring_dedup(docs, rows, empty, log2):
     assert substring_dedup.strip_repeats(empty, p).count() == 0
 
 
-def test_sketch_parts():
-    v = np.unique(np.random.default_rng(1).integers(0, 1 << 20, 3000))
-    assert (substring_dedup.ungaps(substring_dedup.gaps(v)) == v).all()
-    assert (substring_dedup.ungaps(substring_dedup.gaps(np.array([0, 255, 510, 1020]))) == [0, 255, 510, 1020]).all()
+@pytest.mark.parametrize("wide", [False, True])
+def test_sketch_parts(wide):
+    rng = np.random.default_rng(1)
+    groups = [np.unique(rng.integers(0, 1 << 20, n)) for n in (3000, 1, 40, 200_000)] + [np.array([0, (1 << 20) - 1])]
+    low, high = substring_dedup.compact(np.concatenate(groups), np.array([len(g) for g in groups]), 20, wide)
+    for g, x, y in zip(groups, low.to_pylist(), high.to_pylist(), strict=True):
+        assert (substring_dedup.expand(x, y, wide) == g).all()
+
+
+def test_sketch_never_counts_below_the_truth():
+    """Windows of two slices that occur twice in all pass in both; few others do."""
+    import pyarrow as pa
+
+    rng = random.Random(8)
+    shared = " ".join(f"s{i}" for i in range(60))
+    texts = [" ".join(f"a{rng.random()}" for _ in range(4000)) + " " + shared, " ".join(f"b{rng.random()}" for _ in range(4000)) + " " + shared]
+    p = substring_dedup.Params()
+    shape = substring_dedup.Shape.of(80_000, 2, p)
+    tables = [pa.table({"slice": pa.array([i], pa.int32()), "text": [t]}) for i, t in enumerate(texts)]
+    sent = [x for t in tables for x in substring_dedup._sketch(p, shape)(t).to_pylist()]
+    sent.sort(key=lambda x: (x["row"], x["part"]))
+    batch = pa.RecordBatch.from_pylist(sent, substring_dedup._arrow(substring_dedup._SKETCH))
+    told = pa.Table.from_batches(substring_dedup._merge(shape.part_log2, shape.wide)(iter([batch]))).to_pylist()
+    for i, t in enumerate(tables):
+        w = substring_dedup.Windows(t.column("text"), p.window)
+        side = pa.Table.from_pylist([x for x in told if x["slice"] == i], substring_dedup._arrow(substring_dedup._FLAGS))
+        ok = substring_dedup._passing(w, side, p, shape)
+        assert ok[w.start >= 4000].all() and ok[w.start < 4000 - 20].mean() < 0.2
+
+
+def test_sketch_follows_the_text():
+    """Cells of a row keep up with any size, and no part of the sketch outgrows a task."""
+    p = substring_dedup.Params()
+    for size in (10**6, 10**9, 10**11, 10**14):
+        shape = substring_dedup.Shape.of(size, 1000, p)
+        assert (1 << shape.cells_log2) >= size / substring_dedup.BYTES_PER_WINDOW * p.cells_per_window
+        assert shape.part_log2 <= substring_dedup.MOST_PART_LOG2 and size / shape.slices <= 64 << 20
 
 
 def test_packing(docs, rows, empty):
