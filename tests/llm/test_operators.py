@@ -326,8 +326,54 @@ def test_token_store(spark, docs, rows, empty):
 
 
 def test_variable_length_code():
-    v = np.array([0, 255, 256, 65535, 65536, (1 << 24) - 1, 1 << 24, (1 << 32) - 1, 7], dtype=np.uint32)
-    assert (token_store.unpack(*token_store.pack(v), len(v)) == v).all()
+    """The coding that write and read use, on values of one to four bytes in documents of any length."""
+    rng = np.random.default_rng(6)
+    edge = np.array([0, 255, 256, 65535, 65536, (1 << 24) - 1, 1 << 24, (1 << 32) - 1, 7], dtype=np.uint32)
+    v = np.concatenate([edge, (rng.integers(0, 1 << 32, 500) >> rng.integers(0, 32, 500)).astype(np.uint32)])
+    off = np.array([0, 0, 1, 3, 9, 9, 200, len(v)])
+    control, data = token_store.coded(v, off)
+    assert [len(x) for x in data.to_pylist()] == [int(token_store.byte_lengths(v[a:b]).sum()) for a, b in zip(off, off[1:], strict=False)]
+    assert (token_store.decoded(b"".join(control.to_pylist()), b"".join(data.to_pylist()), np.diff(off)) == v).all()
+
+
+def test_token_files_ascend_by_id(spark, docs, rows):
+    folder = store.fresh_path(spark, "test-order")
+    token_store.write(docs.withColumn("doc_id", docs["doc_id"] * 7919 - 3_000_000), folder, WORD_FILE)
+    files = sorted(spark.read.parquet(f"{folder}/blocks").inputFiles())
+    assert len(files) > 4
+    seen = []
+    for f in files:
+        for r in sorted(spark.read.parquet(f).collect(), key=lambda r: r["block"]):
+            seen += np.frombuffer(r["doc_ids"], dtype="<i8").tolist()
+    assert seen == sorted(i * 7919 - 3_000_000 for i, _ in rows)
+
+
+def test_wide_ids_through_files(spark, monkeypatch):
+    """A vocabulary in which every rank takes three or four bytes, written to files and read back."""
+    shift = 1 << 24
+    monkeypatch.setattr(token_store, "BLOCK_IDS", 50)
+    to = np.arange(60_000, dtype=np.uint32) * 7 + (shift - 100)
+    docs = spark.createDataFrame([(i, " ".join(f"wide{j}" for j in range(i))) for i in range(30)], "doc_id long, text string")
+    spec = bpe.vocabulary_text(WORD_FILE)
+    share = spark.sparkContext.broadcast
+    ids = docs.mapInArrow(token_store._encode(share(spec), bpe.style_of(spec), 1, share(to), np.array([0, 10])), "range int, doc_id long, n_tokens long, control binary, data binary")
+    folder = store.fresh_path(spark, "test-wide")
+    ids.repartitionById(2, ids["range"]).sortWithinPartitions("doc_id").mapInArrow(token_store._blocks, token_store._BLOCK).write.parquet(folder)
+
+    class Back:
+        def __getitem__(self, values):
+            return ((values.astype(np.int64) - (shift - 100)) // 7).astype(np.uint32)
+
+    back = type("Shared", (), {"value": Back()})()
+    tok = Tokenizer.from_file(WORD_FILE)
+    blocks = spark.read.parquet(folder).select("range", "start", "n_null", "doc_ids", "lengths", "control", "data")
+    got = {}
+    for b in token_store._decode(back)(iter(blocks.toArrow().to_batches())):
+        got |= dict(zip(b.column(1).to_pylist(), b.column(4).to_pylist(), strict=True))
+    assert len(got) == 30
+    for i, x in got.items():
+        want = [*tok.encode(" ".join(f"wide{j}" for j in range(i)), add_special_tokens=False).ids, 1]
+        assert np.frombuffer(x, dtype="<u4").tolist() == want
 
 
 def test_bpe(docs, rows, empty):
