@@ -82,7 +82,7 @@ def set_digest(h: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray
     return both[0], both[1]
 
 
-_SIGNED = "doc_id long, n_shingles long, d1 long, d2 long, bands array<long>"
+_SIGNED = "doc_id long, t long, n_shingles long, d1 long, d2 long, bands array<long>"
 
 
 def circulant(p: Params):
@@ -112,12 +112,13 @@ def _signed(p: Params, sign):  # noqa: ANN001
                 yield pa.RecordBatch.from_arrays(
                     [
                         batch.column(0).slice(a, n),
+                        batch.column(2).slice(a, n),
                         pa.array(np.diff(first).astype(np.int64)),
                         pa.array(d1.view(np.int64)),
                         pa.array(d2.view(np.int64)),
                         pa.ListArray.from_arrays(pa.array(off), pa.array(band[some].reshape(-1).view(np.int64))),
                     ],
-                    ["doc_id", "n_shingles", "d1", "d2", "bands"],
+                    ["doc_id", "t", "n_shingles", "d1", "d2", "bands"],
                 )
 
     return run
@@ -127,12 +128,12 @@ def _sets(p: Params):
     @words.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for a, b, s in words.scans(words.as_texts(batch.column(1)), lower=True):
+            for a, b, s in words.scans(words.as_texts(batch.column(1)), lower=True):  # (node, text)
                 h, first = words.distinct_in_docs(*words.shingles(s, p.shingle), b - a)
                 packed = pa.Array.from_buffers(
                     pa.binary(), b - a, [None, pa.py_buffer((first * 8).astype(np.int32)), pa.py_buffer(h.tobytes())]
                 )
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), packed], ["rep", "items"])
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), packed], ["node", "items"])
 
     return run
 
@@ -182,7 +183,7 @@ def _overlaps(sets: list[np.ndarray]) -> np.ndarray:
 
 
 def _compare_blocks(percent: int):
-    """Rows (band, i, j, rep, c, items) in order of (band, i, j): links that join different components c."""
+    """Rows (band, i, j, node, c, items) in order of (band, i, j): links that join different components c."""
 
     def links(reps: list[int], comps: list[int], sets: list[np.ndarray]) -> list[tuple[int, int]]:
         if len(set(comps)) < 2:
@@ -270,69 +271,67 @@ def connected(edges: DataFrame) -> DataFrame:
             return now.select(F.col("a").alias("node"), F.col("b").alias("comp"))
 
 
-SMALL_LOOKUP = 1_000_000
+SMALL_LOOKUP = 250_000
 
 
 def components(docs: DataFrame, params: Params = Params(), id_col: str = "doc_id", text_col: str = "text", signer=None) -> DataFrame:  # noqa: ANN001
-    """doc_id, n_shingles, component_id, kept, class_id.
+    """doc_id, n_shingles, component_id, kept, class_id, text_digest, first.
 
-    class_id is the smallest id of the documents with the same set.
+    class_id is the smallest id of the documents with the same set.  first marks
+    the one row that stays of a component: that of the smallest id, and among
+    equal ids of the smallest text_digest (rows equal in both are all marked).
 
     Null or wordless texts have an empty set and are linked with nothing; a null
-    id stands for the least long inside and comes back as null; rows that repeat
-    an id are one document; an empty table gives no rows.
+    id is smaller than all others; rows that repeat an id are documents of their
+    own; an empty table gives no rows.
     """
     p = params
-    least_long = F.expr("cast(-9223372036854775808 as long)")
-    rows = docs.select(F.coalesce(F.col(id_col).cast("long"), least_long).alias("doc_id"), F.col(text_col).alias("text"))
-    signed = store.settle(rows.mapInArrow(_signed(p, signer or circulant(p)), _SIGNED), "signed")
+    rows = _rows(docs, id_col, text_col)
+    signed = store.settle(rows.select("doc_id", "text", "t").mapInArrow(_signed(p, signer or circulant(p)), _SIGNED), "signed")
     filled = signed.filter("n_shingles > 0")
-    classes = store.settle(
-        filled.groupBy("d1", "d2").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("members")), "classes"
-    )
-    # one row per class: the row of its representative
+    # one row per set: its smallest document, and a number that stands for it below
+    classes = filled.groupBy("d1", "d2").agg(F.min(F.struct("doc_id", "t")).alias("head"))
+    classes = store.settle(classes.select("d1", "d2", "head", F.monotonically_increasing_id().alias("node")), "classes")
     heads = (
         filled.join(classes, ["d1", "d2"])
-        .filter("doc_id = rep")
-        .select("rep", F.col("n_shingles").alias("n"), "bands")
+        .filter(F.struct("doc_id", "t").eqNullSafe(F.col("head")))
+        .select("node", F.col("n_shingles").alias("n"), "bands")
         .distinct()
-        .select("rep", "n", F.explode("bands").alias("band"))
+        .select("node", "n", F.explode("bands").alias("band"))
     )
     heads = store.settle(heads, "heads")
     crowded = heads.groupBy("band").agg(F.count(F.lit(1)).alias("m")).filter("m > 1").select("band")
     buckets = store.settle(heads.join(crowded, "band"), "buckets")
     store.drop(heads)
 
-    needed = buckets.select("rep").distinct()
-    n_needed = needed.count()
-    wanted = needed.withColumnRenamed("rep", "doc_id")
-    # ids of 8 bytes: at most SMALL_LOOKUP of them are broadcast, more are joined
-    wanted = F.broadcast(wanted) if n_needed <= SMALL_LOOKUP else wanted
-    sets = store.settle(
-        rows.join(wanted, "doc_id", "left_semi").mapInArrow(_sets(p), "rep long, items binary").dropDuplicates(["rep"]),
-        "sets",
-    )
+    needed = classes.join(buckets.select("node").distinct(), "node").select("node", F.col("head.doc_id").alias("_d"), F.col("head.t").alias("_t"))
+    needed = store.settle(needed, "needed")
+    # 24 bytes for each: at most SMALL_LOOKUP of them are broadcast, more are joined
+    wanted = F.broadcast(needed) if needed.count() <= SMALL_LOOKUP else needed
+    texts = rows.join(wanted, F.col("doc_id").eqNullSafe(F.col("_d")) & (F.col("t") == F.col("_t"))).select("node", "text")
+    sets = store.settle(texts.mapInArrow(_sets(p), "node long, items binary").dropDuplicates(["node"]), "sets")
 
-    # the star of each bucket: its centre, the member of smallest id, against the others
-    centre = store.settle(buckets.groupBy("band").agg(F.min(F.struct("rep", "n")).alias("z")).select("band", F.col("z.rep").alias("b"), F.col("z.n").alias("nb")), "centres")
-    pairs = buckets.join(centre, "band").filter("rep <> b")
+    # the star of each bucket: its centre, the member of smallest number, against the others
+    centre = store.settle(buckets.groupBy("band").agg(F.min(F.struct("node", "n")).alias("z")).select("band", F.col("z.node").alias("b"), F.col("z.n").alias("nb")), "centres")
+    pairs = buckets.join(centre, "band").filter("node <> b")
     # sizes alone rule out many pairs exactly
-    pairs = pairs.filter(100 * F.least("n", "nb") >= p.percent * F.greatest("n", "nb")).select(F.col("rep").alias("a"), "b").distinct()
+    pairs = pairs.filter(100 * F.least("n", "nb") >= p.percent * F.greatest("n", "nb")).select(F.col("node").alias("a"), "b").distinct()
     pairs = store.settle(pairs, "pairs")
-    with_a = pairs.join(sets.select(F.col("rep").alias("a"), F.col("items").alias("xa")), "a")
-    with_b = with_a.join(sets.select(F.col("rep").alias("b"), F.col("items").alias("xb")), "b")
+    with_a = pairs.join(sets.select(F.col("node").alias("a"), F.col("items").alias("xa")), "a")
+    with_b = with_a.join(sets.select(F.col("node").alias("b"), F.col("items").alias("xb")), "b")
     linked = store.settle(with_b.select("a", "b", "xa", "xb").mapInArrow(_confirm(p.percent), "a long, b long"), "star-links")
     comp = connected(linked)
 
     # buckets whose other members are in several components go on, in blocks
-    rest = buckets.join(centre.select("band", "b"), "band").filter("rep <> b").drop("b")
-    rest = rest.join(comp, F.col("rep") == F.col("node"), "left").select("band", "rep", F.coalesce("comp", "rep").alias("c"))
+    rest = buckets.join(centre.select("band", "b"), "band").filter("node <> b").drop("b")
+    named_rest = comp.withColumnRenamed("node", "_node")
+    rest = rest.join(named_rest, F.col("node") == F.col("_node"), "left").select("band", "node", F.coalesce("comp", "node").alias("c"))
     rest = store.settle(rest, "rest")
     open_ = rest.groupBy("band").agg(F.count(F.lit(1)).alias("m"), F.min("c").alias("lo"), F.max("c").alias("hi")).filter("lo <> hi").select("band", F.ceil(F.col("m") / p.block).cast("int").alias("nb"))
-    dealt = rest.join(open_, "band").withColumn("k", F.pmod(F.xxhash64("rep"), F.col("nb")).cast("int"))
-    dealt = dealt.select("band", "rep", "c", "k", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)).alias("o"))
-    dealt = dealt.select("band", F.least("k", "o").alias("i"), F.greatest("k", "o").alias("j"), "rep", "c")
-    full = dealt.join(sets, "rep").select("band", "i", "j", "rep", "c", "items")
+    dealt = rest.join(open_, "band").withColumn("k", F.pmod(F.xxhash64("node"), F.col("nb")).cast("int"))
+    dealt = dealt.select("band", "node", "c", "k", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)).alias("o"))
+    dealt = dealt.select("band", F.least("k", "o").alias("i"), F.greatest("k", "o").alias("j"), "node", "c")
+    full = dealt.join(sets, "node").select("band", "i", "j", "node", "c", "items")
     block_links = (
         full.repartition(store.partitions(docs), "band", "i", "j").sortWithinPartitions("band", "i", "j").mapInArrow(_compare_blocks(p.percent), "a long, b long")
     )
@@ -342,28 +341,38 @@ def components(docs: DataFrame, params: Params = Params(), id_col: str = "doc_id
     for t in (sets, buckets, pairs, rest):
         store.drop(t)
 
-    named = store.settle(
-        classes.join(comp, F.col("rep") == F.col("node"), "left")
-        .select("d1", "d2", "rep", F.coalesce("comp", "rep").alias("comp")),
-        "named",
-    )
-    out = signed.select("doc_id", "n_shingles", "d1", "d2").join(named, ["d1", "d2"], "left")
-    id_or_null = lambda c: F.when(c != least_long, c)
+    # a component's smallest document among its sets' smallest
+    with_roots = comp.union(comp.select(F.col("comp").alias("node"), "comp").distinct())
+    in_one = classes.join(with_roots, "node")
+    least = in_one.groupBy("comp").agg(F.min("head").alias("whole"))
+    whole = in_one.join(least, "comp").select("node", "whole")
+    named = store.settle(classes.join(whole, "node", "left").select("d1", "d2", "head", F.coalesce("whole", "head").alias("whole")), "named")
+    out = signed.select("doc_id", "t", "n_shingles", "d1", "d2").join(named, ["d1", "d2"], "left")
+    own = F.struct("doc_id", "t")
+    top, head = F.coalesce("whole", own), F.coalesce("head", own)
     return out.select(
-        id_or_null(F.col("doc_id")).alias("doc_id"),
+        "doc_id",
         "n_shingles",
-        id_or_null(F.coalesce("comp", "doc_id")).alias("component_id"),
-        (F.col("doc_id") == F.coalesce("comp", "doc_id")).alias("kept"),
-        id_or_null(F.coalesce("rep", "doc_id")).alias("class_id"),
+        top["doc_id"].alias("component_id"),
+        F.col("doc_id").eqNullSafe(top["doc_id"]).alias("kept"),
+        head["doc_id"].alias("class_id"),
+        F.col("t").alias("text_digest"),
+        own.eqNullSafe(top).alias("first"),
     )
 
 
+def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"), F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))).alias("t"))
+
+
 def deduplicate(docs: DataFrame, params: Params = Params(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """docs without all but the smallest id of each component, in the columns of docs.
+    """docs without all but the first document of each component, in the columns of docs.
 
-    Of rows that repeat an id, all stay or none.
+    Of rows equal in id and text, all stay or none; so do wordless texts, which
+    are linked with nothing.
     """
-    gone = components(docs, params, id_col, text_col).filter("not kept").select(F.col("doc_id").alias("_hg_gone")).distinct()
-    packed = docs.select(F.col(id_col).alias("_hg_id"), F.struct(*docs.columns).alias("_hg_row"))
-    left = packed.join(gone, F.col("_hg_id") == F.col("_hg_gone"), "left_anti")
+    gone = components(docs, params, id_col, text_col).filter("not first").select(F.col("doc_id").alias("_hg_gone"), F.col("text_digest").alias("_hg_digest")).distinct()
+    keyed = F.xxhash64(F.coalesce(F.col(text_col), F.lit("")))
+    packed = docs.select(F.col(id_col).cast("long").alias("_hg_id"), keyed.alias("_hg_t"), F.struct(*docs.columns).alias("_hg_row"))
+    left = packed.join(gone, F.col("_hg_id").eqNullSafe(F.col("_hg_gone")) & (F.col("_hg_t") == F.col("_hg_digest")), "left_anti")
     return left.select(*[F.col("_hg_row").getField(c).alias(c) for c in docs.columns])

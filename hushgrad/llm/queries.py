@@ -51,7 +51,7 @@ def op4_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return near_dedup.components(_table(spark, sf_dir))
+    return near_dedup.components(_table(spark, sf_dir)).select("doc_id", "n_shingles", "component_id", "kept", "class_id")
 
 
 def op6_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
