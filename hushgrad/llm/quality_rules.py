@@ -239,7 +239,7 @@ def _without_lines(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
         yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out, pa.string())], [*batch.schema.names, "_hg_clean"])
 
 
-def filter_documents(docs: DataFrame, rules: Rules = Rules(), id_col: str = "doc_id", text_col: str = "text", host_col: str = "source", length_col: str | None = "n_chars", near: near_dedup.Params | None = None) -> DataFrame:
+def filter_documents(docs: DataFrame, rules: Rules = Rules(), id_col: str = "doc_id", text_col: str = "text", host_col: str | None = "source", length_col: str | None = "n_chars", near: near_dedup.Params | None = None) -> DataFrame:
     """The kept documents with the lines above the limit removed, in the columns of docs.
 
     Only texts that hold such a line change; length_col, where present, follows.
@@ -248,7 +248,7 @@ def filter_documents(docs: DataFrame, rules: Rules = Rules(), id_col: str = "doc
     # all columns travel in one struct, so no name of the input can clash
     packed = docs.select(
         F.col(id_col).alias("_hg_id"),
-        F.coalesce(F.col(host_col).cast("string"), F.lit("")).alias("_hg_host"),
+        (F.coalesce(F.col(host_col).cast("string"), F.lit("")) if host_col else F.lit("")).alias("_hg_host"),
         F.coalesce(F.col(text_col), F.lit("")).alias("_hg_text"),
         F.struct(*[F.col(c) for c in docs.columns if c != text_col]).alias("_hg_row"),
     )
