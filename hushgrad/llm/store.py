@@ -23,6 +23,8 @@ def shared_folder(spark: SparkSession) -> str:
         chosen = sc._jsc.sc().getCheckpointDir()
         where = chosen.get() if chosen.isDefined() else None
     if not where:
+        if not sc.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all machines share")
         where = "file://" + tempfile.mkdtemp(prefix="hushgrad-")
         sc.setCheckpointDir(where)
     return where.rstrip("/")
