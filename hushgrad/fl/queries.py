@@ -3,11 +3,14 @@
 from __future__ import annotations
 
 import math
+from dataclasses import replace
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from hushgrad.fl import accountant, compress, experiments, theory, train, workloads
+from hushgrad.fl import accountant, compress, experiments, losses, theory, train, workloads
 from hushgrad.functions import digest
 from hushgrad.sources.tables import load
 
@@ -86,82 +89,110 @@ def privacy_spent(spark: SparkSession, sf_dir: str) -> DataFrame:
         for eps in (1.0, 5.0, 10.0):
             k = theory.constants(kind, 0.5, 1.0, 4800, 128, 128 / 4800)
             sigma = math.sqrt(theory.noise_variance(k, 400, 4800, theory.PrivacySpec(eps)))
-            rows.append((kind, eps, sigma, accountant.spent(sigma, 400, accountant.sensitivity(k, 4800, 128), 1e-3)))
+            rows.append((kind, eps, round(sigma, 9), round(accountant.spent(sigma, 400, accountant.sensitivity(k, 4800, 128), 1e-3), 6)))
     return _table(spark, rows, "kind string, eps double, sigma double, spent double")
 
 
-IN, HIDDEN, OUT = 8, 4, 10
+NET = losses.ShallowNet(64, 64, 10)
 
 
-def _weights(spark: SparkSession, name: str, rows: int, cols: int) -> DataFrame:
-    grid = spark.range(rows * cols).select(F.floor(F.col("id") / cols).cast("int").alias("r"), (F.col("id") % cols).cast("int").alias("c"))
-    return grid.select("r", "c", digest.normal(name, F.col("r"), F.col("c")).alias("w"))
+def _net_model() -> np.ndarray:
+    """Digest-normal weights, without constants, of the whole 64-64-10 network."""
+    x = np.zeros(NET.dimension())
+    w1, _, w2, _ = NET.parts(x)
+    w1[...] = [[digest.normal_value("w1", h, i) for i in range(NET.n_in)] for h in range(NET.hidden)]
+    w2[...] = [[digest.normal_value("w2", o, h) for h in range(NET.hidden)] for o in range(NET.n_out)]
+    return x
 
 
-def _net(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """vec_id, label, a (8 inputs), hid (4), logp (10) of a small network with digest weights."""
-    e = load(spark, sf_dir, "embeddings").select("vec_id", "label", F.transform(F.slice("embedding", 1, IN), lambda x: x.cast("double")).alias("a"))
-    w1 = [[digest.normal_value("w1", h, i) for i in range(IN)] for h in range(HIDDEN)]
-    w2 = [[digest.normal_value("w2", o, h) for h in range(HIDDEN)] for o in range(OUT)]
-    lit = lambda v: F.array(*[F.lit(x) for x in v])
-    dot = lambda a, v: F.aggregate(F.zip_with(a, lit(v), lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    e = e.withColumn("hid", F.array(*[1.0 / (1.0 + F.exp(-dot(F.col("a"), w))) for w in w1]))
-    e = e.withColumn("z", F.array(*[dot(F.col("hid"), w) for w in w2]))
-    total = F.log(F.aggregate(F.transform("z", F.exp), F.lit(0.0), lambda s, x: s + x))
-    return e.withColumn("logp", F.transform("z", lambda x: x - total))
+def _net(spark: SparkSession, sf_dir: str, what, schema: str) -> DataFrame:  # noqa: ANN001
+    """what(ids, features, labels, model) over batches of the whole embeddings."""
+    x = _net_model()
+
+    def go(batches):  # noqa: ANN001, ANN202
+        for batch in batches:
+            if batch.num_rows:
+                a = batch.column(1).flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(batch.num_rows, -1)
+                yield pa.RecordBatch.from_arrays(what(batch.column(0), a, batch.column(2).to_numpy().astype(np.float64), x), [c.split()[0] for c in schema.split(", ")])
+
+    return load(spark, sf_dir, "embeddings").select("vec_id", "embedding", "label").mapInArrow(go, schema)
 
 
 def net_forward(spark: SparkSession, sf_dir: str) -> DataFrame:
-    e = _net(spark, sf_dir)
-    return e.select("vec_id", F.round(-F.element_at("logp", F.col("label") + 1), 6).alias("loss"))
+    rows = _net(spark, sf_dir, lambda ids, a, y, x: [ids, pa.array(NET.values(a, y, x))], "vec_id long, loss double")
+    return rows.select("vec_id", F.round("loss", 6).alias("loss"))
 
 
 def net_accuracy(spark: SparkSession, sf_dir: str) -> DataFrame:
-    e = _net(spark, sf_dir)
-    best = F.array_position("z", F.array_max("z")) - 1
-    return e.agg(F.count_if(best == F.col("label")).alias("right"), F.count(F.lit(1)).alias("n"))
+    rows = _net(spark, sf_dir, lambda ids, a, y, x: [pa.array(NET.correct(a, y, x))], "ok boolean")
+    return rows.agg(F.count_if("ok").alias("right"), F.count(F.lit(1)).alias("n"))
+
+
+def _net_sums(spark: SparkSession, sf_dir: str, clip: float | None) -> DataFrame:
+    """(coord, grad, n_clipped): the mean of (clipped) gradients in all 4810 coordinates; a task sends one vector for a batch."""
+
+    def sums(ids, a, y, x):  # noqa: ANN001, ANN202
+        g, cut = losses.summed(NET, a, y, x, clip)
+        return [pa.array([len(y)], pa.int64()), pa.array([cut], pa.int64()), pa.array([g.tolist()], pa.list_(pa.float64()))]
+
+    rows = _net(spark, sf_dir, sums, "n long, cut long, g array<double>").select("n", "cut", F.posexplode("g").alias("coord", "v"))
+    per = rows.groupBy("coord").agg((F.sum("v") / F.sum("n")).alias("grad"), F.sum("cut").alias("n_clipped"))
+    return per.select("coord", F.round("grad", 6).alias("grad"), "n_clipped")
 
 
 def net_gradient(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Gradient of the mean loss in the second layer's weights."""
-    e = _net(spark, sf_dir).select("label", "hid", F.posexplode("logp").alias("o", "lp"))
-    delta = F.exp("lp") - F.when(F.col("o") == F.col("label"), 1.0).otherwise(0.0)
-    e = e.select("o", delta.alias("delta"), F.posexplode("hid").alias("h", "v"))
-    unit = 1e9
-    g = e.groupBy("o", "h").agg(F.sum(F.round(F.col("delta") * F.col("v") * unit).cast("long")).alias("s"), F.count(F.lit(1)).alias("n"))
-    return g.select("o", "h", F.round(F.col("s") / F.lit(unit) / F.col("n"), 6).alias("grad"))
+    return _net_sums(spark, sf_dir, None).drop("n_clipped")
 
 
-def _short(name: str, methods: tuple[str, ...], rounds: int = 3):
-    """A few rounds of every method on a workload, all in the same jobs."""
+def net_clipped_gradient(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _net_sums(spark, sf_dir, 1.0)
+
+
+def _jobs(w: workloads.Workload, sizes: dict[int, int], methods: tuple[str, ...], eps: tuple[float, ...], rounds: int) -> list[train.Run]:
+    m = max(sizes.values())
+    return [
+        train.Run(f"{k}|{e}", k, rounds, 0.1, w.clip, m, w.d, theory.PrivacySpec(e, workloads.DELTA), compress.RandomK(k=w.k), sizes=sizes) for k in methods for e in eps
+    ]
+
+
+def _short(name: str, methods: tuple[str, ...], rounds: int = 10, prepare=None, what: str = ""):  # noqa: ANN001
+    """Some rounds of the methods on a workload at every eps, all in the same jobs, with a run without privacy."""
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         w = workloads.WORKLOADS[name]
-        samples, test, m = workloads.prepare(spark, name, sf_dir)
-        spec = theory.PrivacySpec(w.eps[-1], workloads.DELTA)
-        jobs = [train.Run(k, k, rounds, 0.1, w.clip, m, w.d, spec, compress.RandomK(k=w.k)) for k in methods]
-        jobs.append(train.Run("not_private", methods[0], rounds, 0.1, w.clip, m, w.d, None, compress.RandomK(k=w.k)))
-        _, trace = train.train(samples, jobs, w.loss, eval_every=rounds, test=test)
-        samples.unpersist()
+        samples, test, sizes = prepare(spark, sf_dir) if prepare else workloads.prepare(spark, name, sf_dir)
+        jobs = _jobs(w, sizes, methods, w.eps, rounds)
+        first = jobs[0]
+        jobs.append(replace(first, name="not_private", privacy=None))
+        if name == "tab_logistic":
+            # direct compression by quantising instead of picking, and by picking without a server's reference
+            jobs.append(replace(first, name="quantised_direct", method="direct_sgd", compressor=compress.RandomQuantizer(4)))
+            jobs.append(replace(first, name="sparsified_direct", method="direct_sgd"))
+        _, trace = train.train(samples, jobs, w.loss, eval_every=1, test=test)
+        workloads.release(samples, test)
         return spark.createDataFrame(trace, train.TRACE)
 
-    run.__name__ = f"train_{name}"
+    run.__name__ = f"train_{what or name}"
     return run
 
 
 def stepsize_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The five compared methods over the stepsizes, with the best of each (a short run of the sweep)."""
-    trace = experiments.sweep(spark, "doc_logistic", sf_dir, eps=(10.0,), steps=(0.03, 0.3, 1.0), rounds=4, eval_every=1, ratio=2)
-    return experiments.compare(trace)
+    """The five compared methods over all stepsizes and all eps, uncompressed ones for a twentieth of the rounds, with the best of each."""
+    return experiments.compare(experiments.sweep(spark, "doc_logistic", sf_dir, rounds=180))
 
 
 TRAINED = [_short("tab_logistic", tuple(train.METHODS))] + [_short(n, workloads.COMPARED) for n in ("doc_logistic", "doc_quality", "vec_network", "vec_raw")]
+TRAINED += [
+    _short("wide_network", ("direct_sgd", "shifted_sgd"), 2),
+    _short("tab_logistic", ("direct_sgd", "shifted_sgd", "shifted_svrg"), 5, workloads.prepare_natural, "natural_clients"),
+    _short("tab_logistic", ("ldp_sgd", "ldp_gd"), 5, workloads.prepare_single, "single_node"),
+]
 
 QUERIES = {
     f.__name__: f
     for f in (
         constants_table, noise_variance_table, preset_table, cost_table, gradient_cost_table, m_dependence, privacy_spent, net_forward, net_accuracy,
-        net_gradient, stepsize_sweep, *TRAINED,
+        net_gradient, net_clipped_gradient, stepsize_sweep, *TRAINED,
     )
 }
 
@@ -170,14 +201,58 @@ def _net_sql() -> str:
     """The network in long form: one row for each vector and unit."""
     u = "(CAST('0x' || substr(md5(concat_ws('|', {}, {}, {}, {})), 1, 13) AS BIGINT) / 4503599627370496.0)"
     normal = lambda name, a, b: f"round(sqrt(-2.0 * ln(1.0 - {u.format(chr(39) + 'radius' + chr(39), chr(39) + name + chr(39), a, b)})) * cos({2 * math.pi!r} * {u.format(chr(39) + 'angle' + chr(39), chr(39) + name + chr(39), a, b)}), 9)"
-    return f"""WITH w1 AS (SELECT h, i, {normal('w1', 'h', 'i')} AS w FROM (SELECT unnest(range({HIDDEN})) AS h) CROSS JOIN (SELECT unnest(range({IN})) AS i)),
-  w2 AS (SELECT o, h, {normal('w2', 'o', 'h')} AS w FROM (SELECT unnest(range({OUT})) AS o) CROSS JOIN (SELECT unnest(range({HIDDEN})) AS h)),
-  a AS (SELECT vec_id, label, unnest(range({IN})) AS i, unnest(embedding[1:{IN}])::DOUBLE AS x FROM embeddings),
+    return f"""WITH w1 AS (SELECT h, i, {normal('w1', 'h', 'i')} AS w FROM (SELECT unnest(range({NET.hidden})) AS h) CROSS JOIN (SELECT unnest(range({NET.n_in})) AS i)),
+  w2 AS (SELECT o, h, {normal('w2', 'o', 'h')} AS w FROM (SELECT unnest(range({NET.n_out})) AS o) CROSS JOIN (SELECT unnest(range({NET.hidden})) AS h)),
+  a AS (SELECT vec_id, label, unnest(range({NET.n_in})) AS i, unnest(embedding)::DOUBLE AS x FROM embeddings),
   hid AS (SELECT vec_id, label, h, 1.0 / (1.0 + exp(-sum(x * w))) AS v FROM a JOIN w1 USING (i) GROUP BY ALL),
   z AS (SELECT vec_id, label, o, sum(v * w) AS z FROM hid JOIN w2 USING (h) GROUP BY ALL),
   lp AS (SELECT vec_id, label, o, z, z - ln(sum(exp(z)) OVER (PARTITION BY vec_id)) AS lp FROM z)"""
 
 
+def _net_gradient_sql(clip: float | None) -> str:
+    """All four blocks of the gradient: first weights, first constants, second weights, second constants."""
+    h, i, o = NET.hidden, NET.n_in, NET.n_out
+    scale = "1.0" if clip is None else f"least(1.0, {clip!r} / nrm)"
+    return _net_sql() + f""", d AS (SELECT vec_id, o, exp(lp) - (CASE WHEN o = label THEN 1.0 ELSE 0.0 END) AS delta FROM lp),
+  back AS (SELECT vec_id, h, sum(delta * w) * any_value(v) * (1.0 - any_value(v)) AS bk, any_value(v) AS v FROM d JOIN w2 USING (o) JOIN hid USING (vec_id, h) GROUP BY vec_id, h),
+  sizes AS (SELECT vec_id, sqrt(b2 * (a2 + 1) + d2 * (v2 + 1)) AS nrm FROM (SELECT vec_id, sum(bk * bk) AS b2, sum(v * v) AS v2 FROM back GROUP BY 1)
+    JOIN (SELECT vec_id, sum(x * x) AS a2 FROM a GROUP BY 1) USING (vec_id) JOIN (SELECT vec_id, sum(delta * delta) AS d2 FROM d GROUP BY 1) USING (vec_id)),
+  f AS (SELECT vec_id, {scale} AS f, nrm FROM sizes),
+  g AS (SELECT h * {i} + i AS coord, sum(f * bk * x) AS s FROM back JOIN a USING (vec_id) JOIN f USING (vec_id) GROUP BY ALL
+    UNION ALL SELECT {h * i} + h, sum(f * bk) FROM back JOIN f USING (vec_id) GROUP BY ALL
+    UNION ALL SELECT {h * i + h} + o * {h} + h, sum(f * delta * v) FROM d JOIN back USING (vec_id) JOIN f USING (vec_id) GROUP BY ALL
+    UNION ALL SELECT {h * i + h + o * h} + o, sum(f * delta) FROM d JOIN f USING (vec_id) GROUP BY ALL),
+  n AS (SELECT count(*) AS n, count(*) FILTER ({"nrm > " + repr(clip) if clip else "false"}) AS c FROM f)
+  SELECT coord::INTEGER AS coord, round(s / n, 6) AS grad{", c AS n_clipped" if clip else ""} FROM g, n"""
+
+
+def _cost_sql() -> str:
+    """The two cost tables' rows, from the published orders."""
+    lam = "ln(1000.0)"
+    return f"""WITH g AS (SELECT n, m, {lam} AS l, 123.0 AS d, 20.5 AS q FROM (VALUES (1), (10), (100)) a(n), (VALUES (1000), (10000)) b(m)),
+  k AS (SELECT *, sqrt(n) * m / sqrt(q * d * l) AS k, pow(q, 1.5) / sqrt(n) AS tau, m * sqrt(d) / sqrt(l) AS root, n * pow(m, 2.0) / (q * l) AS tail, sqrt(q * d * l) / (sqrt(n) * m) AS sq FROM g),
+  r AS (SELECT n, m, 'single_random_permutation_sgd' AS method, 'one node' AS setting, sqrt(d * ln(m / 0.001) * l) / m AS acc, NULL::DOUBLE AS comm, false AS derived FROM k
+    UNION ALL SELECT n, m, 'single_private_sgd', 'one node', sqrt(d * l) / m, NULL, false FROM k
+    UNION ALL SELECT n, m, 'single_recursive_momentum', 'one node', sqrt(d * l) / m, NULL, false FROM k
+    UNION ALL SELECT n, m, 'distributed_recursive_momentum', 'uncompressed, central', sqrt(d * l) / (n * m), n * n * root, false FROM k
+    UNION ALL SELECT n, m, 'local_svrg_or_recursive_path', 'uncompressed', sqrt(d * l) / (sqrt(n) * m), pow(n, 1.5) * root, false FROM k
+    UNION ALL SELECT n, m, 'quantised_private_sgd', 'direct', pow(1.0 / n + 1.0 / m, 2.0 / 3) * pow(d * l, 1.0 / 3) / pow(m, 2.0 / 3), (1 + n / m::DOUBLE) * pow(m, 2.0) / (d * l), false FROM k
+    UNION ALL SELECT n, m, 'sparsified_decentralised_sgd', 'direct', sqrt(d * l) / (sqrt(n) * m), pow(n, 3.5) * root / pow(q, 1.5) + tail, false FROM k
+    UNION ALL SELECT n, m, 'direct_compression_sgd', 'direct', sq, pow(n, 1.5) * root / pow(q, 1.5) + tail, false FROM k
+    UNION ALL SELECT n, m, 'shifted_sgd_or_gd', 'shifted', sq * (1 + sqrt(tau)), n * d * k * (1 + sqrt(tau)) / q, true FROM k
+    UNION ALL SELECT n, m, 'shifted_svrg_or_saga', 'shifted', sq, n * d * k * greatest(1.0, tau) / q, true FROM k)
+  SELECT n, m, method, setting, round(acc, 5) AS accuracy, round(comm, 5) AS communication, derived FROM r"""
+
+
+def _spent_sql() -> str:
+    """Renyi composition of 400 Gaussian rounds at the best of the orders."""
+    return """WITH o AS (SELECT 1 + x / 100.0::DOUBLE AS a FROM (SELECT unnest(range(1, 400)) AS x) UNION ALL SELECT 5 + x / 4.0::DOUBLE FROM (SELECT unnest(range(0, 240)) AS x) UNION ALL SELECT unnest(range(65, 512, 8))::DOUBLE),
+  k AS (SELECT kind, eps, CASE kind WHEN 'sgd' THEN 0.5 ELSE 1.0 END::DOUBLE AS ga, CASE kind WHEN 'sgd' THEN 0.0 ELSE 0.5 END::DOUBLE AS gb
+    FROM (VALUES ('sgd'), ('svrg'), ('saga')) t(kind), (VALUES (1.0::DOUBLE), (5.0::DOUBLE), (10.0::DOUBLE)) e(eps)),
+  s AS (SELECT kind, eps, (ga * ga / 4 + gb * gb) * 400 * ln(1000.0) / (4800.0 * 4800.0 * eps * eps) AS var, 2 * (ga / 128 + gb / 4800) AS sens FROM k)
+  SELECT kind, eps, round(sqrt(any_value(var)), 9) AS sigma, round(min(a * 400 * sens * sens / (2 * var) + ln(1000.0) / (a - 1)), 6) AS spent FROM s, o GROUP BY kind, eps"""
+
+
 SQL = {
     "constants_table": """WITH m AS (SELECT CAST(floor(count(*) / 10) AS BIGINT) AS m FROM lineitem),
       k AS (SELECT kind, m, CASE kind WHEN 'sgd' THEN 128.0 WHEN 'gd' THEN m WHEN 'svrg' THEN floor(pow(m, 0.6666666666666666) / 4) ELSE least(floor(3 * pow(m, 0.6666666666666666)), m) END::DOUBLE AS b
@@ -204,6 +279,8 @@ SQL = {
       FROM (SELECT CAST(unnest([100, 1000, 10000, 100000, 1000000]) AS INTEGER) AS k), LATERAL (SELECT k::DOUBLE AS m)""",
     "net_forward": _net_sql() + " SELECT vec_id, round(-lp, 6) AS loss FROM lp WHERE o = label",
     "net_accuracy": _net_sql() + " SELECT count(*) FILTER (best = label) AS right, count(*) AS n FROM (SELECT vec_id, label, arg_max(o, z) AS best FROM lp GROUP BY 1, 2)",
-    "net_gradient": _net_sql() + """, d AS (SELECT vec_id, o, exp(lp) - (CASE WHEN o = label THEN 1.0 ELSE 0.0 END) AS delta FROM lp)
-      SELECT o::INTEGER AS o, h::INTEGER AS h, round(sum(CAST(round(delta * v * 1000000000.0) AS BIGINT))::DOUBLE / 1000000000.0 / count(*), 6) AS grad FROM d JOIN hid USING (vec_id) GROUP BY 1, 2""",
+    "net_gradient": _net_gradient_sql(None),
+    "net_clipped_gradient": _net_gradient_sql(1.0),
+    "cost_table": _cost_sql(),
+    "privacy_spent": _spent_sql(),
 }

@@ -2,18 +2,24 @@
 
 All runs of a comparison advance together, one Spark job a round.  A round is
 
-  map     each partition of samples adds up, for each run and client it holds,
-          the clipped gradients its estimator asks for;
+  map     each task adds up, for each run and client it holds, the clipped
+          gradients its estimator asks for;
   reduce  partial sums meet by (run, client);
   client  noise, compression and the client's reference, in one task, so what a
           retried task sends is what it sent before;
-  server  the sum of messages by (run, coordinate), n*k numbers instead of n*d.
+  server  the sum of messages by run, n*k numbers instead of n*d.
 
 Samples carry (client_id, seq, features, label), seq counting a client's samples
-from 0.  Minibatches are keyed permutations of seq (`digest.shuffled`), so they
-need no ranking and are the same wherever a sample lies.  The table of past
-points of the SAGA estimator is not stored: a sample's last round follows from
-the same permutations, and the visited models are few.
+from 0; a client's samples may lie in any number of tasks.  Minibatches are keyed
+permutations of seq (`digest.shuffled`), so they need no ranking and are the same
+wherever a sample lies.  They are also known beforehand: one scan fetches the
+batches of the next rounds, and a round that needs no full gradient reads only
+its own.
+
+SAGA's table of past points is not stored: a sample's entry is the last round
+that drew it, found by the same permutations among the rounds still in use.  The
+tasks report which entries they renewed, so the driver knows when no sample holds
+a round any more and lets its model go; every model is sent once.
 
 A client's state (its reference and its table or snapshot mean) is a row of the
 round's written table; the server holds only vectors of length d for each run.
@@ -24,16 +30,17 @@ privacy and does not provide it.
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+import time
+import warnings
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from hushgrad.fl import compress, losses, storage, theory
+from hushgrad.fl import compress, estimators, losses, storage, theory
 from hushgrad.functions import digest
 
 #: name -> (estimator, compressed, shifted)
@@ -51,34 +58,45 @@ METHODS = {
 }
 
 
+
 @dataclass(frozen=True)
 class Run:
-    """One training run.  privacy None means no noise at all: a control that is not private."""
+    """One training run.  privacy None means no noise at all: a control that is not private.
+
+    eta and gamma are numbers or functions of the round.  order is that of a
+    client's stages; compressing before the noise is refused unless unsafe_order,
+    and the trace then doesn't call the run private."""
 
     name: str
     method: str
     rounds: int
-    eta: float
+    eta: float | Callable[[int], float]
     clip: float | None
     m: int
     d: int
     privacy: theory.PrivacySpec | None = None
     compressor: object = field(default_factory=compress.RandomK)
-    gamma: float | None = None
+    gamma: float | Callable[[int], float] | None = None
     b: int | None = None
     p: float | None = None
     c: float = 1.0
     seed: int = 1
     #: samples of each client, where they differ; a client then weighs n * m_i / sum of m
     sizes: dict[int, int] | None = None
+    order: tuple[str, ...] = ("estimate", "perturb", "compress")
+    unsafe_order: bool = False
 
     def __post_init__(self) -> None:
         if self.privacy is not None and self.clip is None:
             raise ValueError("a private run needs a clip bound")
 
+    @property
+    def how(self) -> estimators.Estimator:
+        return estimators.ESTIMATORS[METHODS[self.method][0]]
+
     @property
     def estimator(self) -> str:
-        return METHODS[self.method][0]
+        return self.how.kind
 
     @property
     def shifted(self) -> bool:
@@ -92,8 +110,7 @@ class Run:
     def batch(self) -> int:
         if self.estimator == "gd":
             return self.m
-        default = {"sgd": 128, "svrg": math.floor(self.m ** (2 / 3) / 4), "saga": math.floor(3 * self.m ** (2 / 3))}[self.estimator]
-        return max(1, min(self.m, self.b if self.b is not None else default))
+        return max(1, min(self.m, self.b if self.b is not None else self.how.batch(self.m)))
 
     @property
     def refresh(self) -> float:
@@ -101,14 +118,26 @@ class Run:
 
     @property
     def shift(self) -> float:
+        return self.shift_at(0)
+
+    def shift_at(self, t: int) -> float:
         if not self.shifted:
             return 0.0
-        return self.gamma if self.gamma is not None else theory.shift_step(self.squeeze.omega(self.d))
+        if self.gamma is None:
+            return theory.shift_step(self.squeeze.omega(self.d))
+        return self.gamma(t) if callable(self.gamma) else self.gamma
+
+    def eta_at(self, t: int) -> float:
+        return self.eta(t) if callable(self.eta) else self.eta
 
     @property
     def sigma(self) -> float:
         return self.sigma_of(None)
 
+    @property
+    def private(self) -> bool:
+        return self.privacy is not None and self.order.index("perturb") < self.order.index("compress")
+
     def m_of(self, client: int | None) -> int:
         return self.sizes[client] if self.sizes and client is not None else self.m
 
@@ -125,36 +154,45 @@ class Run:
         if self.privacy is None:
             return 0.0
         m = self.m_of(client)
-        k = theory.constants(self.estimator, self.clip, 1.0, m, self.batch_of(client), self.refresh)
+        k = self.how.constants(self.clip, 1.0, m, self.batch_of(client), self.refresh)
         return math.sqrt(theory.noise_variance(k, self.rounds, m, self.privacy, self.c))
 
+    def draw(self, client: int) -> tuple[int, int, int]:
+        """What a batch depends on besides client and round: runs that agree in it share their batches."""
+        return self.seed, self.m_of(client), self.batch_of(client)
+
     def sampled(self, client: int, seq: np.ndarray, t: int) -> np.ndarray:
-        m, b = self.m_of(client), self.batch_of(client)
-        if b >= m:
-            return np.ones(len(seq), dtype=bool)
-        return digest.shuffled(seq, m, self.seed, client, t) < b
+        return drawn(self.draw(client), client, seq, t)
 
     def coin(self, t: int) -> bool:
         """Whether the snapshot moves to the model of round t (one coin for all clients)."""
         return digest.uniform_value("coin", self.seed, t) < self.refresh
 
 
+def drawn(draw: tuple[int, int, int], client: int, seq: np.ndarray, t: int) -> np.ndarray:
+    seed, m, b = draw
+    if b >= m:
+        return np.ones(len(seq), dtype=bool)
+    return digest.shuffled(seq, m, seed, client, t) < b
+
+
 @dataclass
 class View:
-    """What the tasks of a round read: models visited, snapshots, and what to compute."""
+    """What the tasks of a round read: the models, snapshots, runs that sum over all samples, and rounds in use."""
 
     t: int
-    models: dict[str, list[np.ndarray]]
-    snapshot: dict[str, int]
-    full: set[str]
+    x: dict[str, np.ndarray]
+    snapshot: dict[str, np.ndarray] = field(default_factory=dict)
+    full: set[str] = field(default_factory=set)
+    live: dict[str, list[int]] = field(default_factory=dict)
 
 
-def last_rounds(run: Run, client: int, seq: np.ndarray, t: int) -> np.ndarray:
-    """For each sample the round whose model its table entry holds: the last one before t that drew it, else 0."""
+def last_rounds(run: Run, client: int, seq: np.ndarray, live: list[int]) -> np.ndarray:
+    """For each sample the round whose model its table entry holds: the last of the rounds in use that drew it, else 0."""
     out = np.zeros(len(seq), dtype=np.int64)
     open_ = np.arange(len(seq))
-    for u in range(t - 1, 0, -1):
-        if not len(open_):
+    for u in sorted(live, reverse=True):
+        if not len(open_) or u == 0:
             break
         hit = run.sampled(client, seq[open_], u)
         out[open_[hit]] = u
@@ -162,239 +200,403 @@ def last_rounds(run: Run, client: int, seq: np.ndarray, t: int) -> np.ndarray:
     return out
 
 
-def local_sums(loss, run: Run, view: View, client: int, seq: np.ndarray, a: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray, int, int]:  # noqa: ANN001
-    """(sum over the batch of the estimator's first part, sum for the snapshot's full gradient, gradients computed, clipped)."""
-    x = view.models[run.name][-1]
-    zero = np.zeros(run.d)
-    pick = run.sampled(client, seq, view.t)
-    ab, yb = a[pick], y[pick]
-    g, cut = losses.summed(loss, ab, yb, x, run.clip)
-    used = len(yb)
-    full = zero
-    if run.estimator == "svrg":
-        w = view.models[run.name][view.snapshot[run.name]]
-        g = g - losses.summed(loss, ab, yb, w, run.clip)[0]
-        used += len(yb)
-        if run.name in view.full:
-            full = losses.summed(loss, a, y, w, run.clip)[0]
-            used += len(y)
-    elif run.estimator == "saga":
-        if view.t == 0:
-            full = losses.summed(loss, a, y, x, run.clip)[0]
-            used += len(y)
-        last = last_rounds(run, client, seq[pick], view.t)
-        for r in np.unique(last):
-            some = last == r
-            g = g - losses.summed(loss, ab[some], yb[some], view.models[run.name][r], run.clip)[0]
-        used += len(yb)
-    return g, full, used, cut
+def local_sums(loss, run: Run, view: View, past: dict, client: int, seq: np.ndarray, a: np.ndarray, y: np.ndarray, pick: np.ndarray | None = None) -> estimators.Sums:  # noqa: ANN001
+    """What a task adds up for a run over a client's rows.  past: models of earlier rounds, as broadcasts."""
+
+    def point(r: int | str) -> np.ndarray:
+        return view.snapshot[run.name] if r == "snapshot" else past[r].value[run.name]
+
+    pick = run.sampled(client, seq, view.t) if pick is None else pick
+    live = view.live.get(run.name, [])
+    ask = estimators.Ask(loss, run.clip, view.x[run.name], seq, a, y, pick, run.name in view.full, point, lambda s: last_rounds(run, client, s, live))
+    return run.how.local(ask)
 
 
 def _features(batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     col = batch.column(batch.schema.get_field_index("features"))
-    a = col.flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(batch.num_rows, -1)
+    a = col.flatten().to_numpy(zero_copy_only=False).astype(np.float64, copy=False).reshape(batch.num_rows, -1)
     get = lambda n: batch.column(batch.schema.get_field_index(n)).to_numpy(zero_copy_only=False)
     return get("client_id").astype(np.int64), get("seq").astype(np.int64), a, get("label").astype(np.float64)
 
 
-_SUMS = "run string, client_id long, g binary, full binary, used long, cut long"
+_SUMS = "run string, client_id long, g binary, full binary, used long, cut long, left binary"
+_STATE = "run string, client_id long, shift binary, memory binary"
+
 
+def _bytes(values: list, kind: str = "<f8") -> pa.Array:
+    return pa.array([None if v is None else np.asarray(v, dtype=kind).tobytes() for v in values], pa.binary())
 
-def _partial(loss, runs: list[Run], view):  # noqa: ANN001
+
+def _partial(loss, runs: list[Run], view, past: dict):  # noqa: ANN001
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total: dict[tuple[str, int], list] = {}
+        total: dict[tuple[str, int], estimators.Sums] = {}
         for batch in batches:
             if not batch.num_rows:
                 continue
             who, seq, a, y = _features(batch)
-            for client in np.unique(who):
-                at = who == client
+            for client in np.unique(who).tolist():
+                at = np.flatnonzero(who == client)
+                rows = (seq[at], a[at], y[at])
+                picks: dict[tuple, np.ndarray] = {}
                 for run in runs:
-                    got = local_sums(loss, run, view.value, int(client), seq[at], a[at], y[at])
-                    have = total.setdefault((run.name, int(client)), [np.zeros(run.d), np.zeros(run.d), 0, 0])
-                    for i, v in enumerate(got):
-                        have[i] = have[i] + v
+                    draw = run.draw(client)
+                    if draw not in picks:
+                        picks[draw] = drawn(draw, client, rows[0], view.value.t)
+                    got = local_sums(loss, run, view.value, past, client, *rows, picks[draw])
+                    have = total.get((run.name, client))
+                    if have is None:
+                        total[run.name, client] = got
+                    else:
+                        have.add(got)
+        sums = [total[k] for k in sorted(total)]
         keys = sorted(total)
         yield pa.RecordBatch.from_arrays(
             [
                 pa.array([k[0] for k in keys], pa.string()),
                 pa.array([k[1] for k in keys], pa.int64()),
-                *(pa.array([total[k][i].tobytes() for k in keys], pa.binary()) for i in (0, 1)),
-                *(pa.array([total[k][i] for k in keys], pa.int64()) for i in (2, 3)),
+                _bytes([s.batch for s in sums]),
+                _bytes([s.full for s in sums]),
+                pa.array([s.used for s in sums], pa.int64()),
+                pa.array([s.cut for s in sums], pa.int64()),
+                _bytes([[x for p in sorted(s.left.items()) for x in p] if s.left else None for s in sums], "<i8"),
             ],
-            ["run", "client_id", "g", "full", "used", "cut"],
+            ["run", "client_id", "g", "full", "used", "cut", "left"],
         )
 
     return go
 
 
-_STATE = "run string, client_id long, shift binary, table binary"
-_CLIENT = "kind string, run string, client_id long, shift binary, table binary, coords binary, values binary, used long, cut long"
-
-
-def client_step(run: Run, view: View, client: int, g: np.ndarray, full: np.ndarray, shift: np.ndarray, table: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Noise, then compression of the difference to the reference; returns (coords, values, new shift, new table)."""
-    if (run.estimator == "svrg" and run.name in view.full) or (run.estimator == "saga" and view.t == 0):
-        table = full / run.m_of(client)
-    estimate = g / run.batch_of(client)
-    if run.estimator in ("svrg", "saga"):
-        if run.estimator == "saga":
-            after = table + g / run.m_of(client)
+def client_step(run: Run, t: int, client: int, sums: estimators.Sums, shift: np.ndarray, memory: np.ndarray | None) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray | None]:
+    """The stages of a client after its sums have met: returns (coords, values, new reference, new memory)."""
+    v, memory = run.how.finish(sums, run.m_of(client), run.batch_of(client), memory)
+    at = np.arange(run.d)
+    reference = shift
+    for stage in run.order[1:]:
+        if stage == "perturb":
+            # noise once for a client and round, whatever tasks its samples came from
+            v = v + run.sigma_of(client) * digest.philox(run.seed, client, t, 1).standard_normal(run.d)[at]
         else:
-            after = table
-        estimate = estimate + table
-        table = after
-    # noise once for a client and round, whatever partitions its samples came from
-    noisy = estimate + run.sigma_of(client) * digest.philox(run.seed, client, view.t, 1).standard_normal(run.d)
-    at, v = run.squeeze.apply(noisy - shift, digest.philox(run.seed, client, view.t, 2))
+            at, v = run.squeeze.apply(v - reference, digest.philox(run.seed, client, t, 2))
     if run.shifted:
         shift = shift.copy()
-        shift[at] += run.shift * v
-    return at, v, shift, table
-
-
-def _clients(runs: dict[str, Run], view):  # noqa: ANN001
-    def go(key, sums: pd.DataFrame, state: pd.DataFrame) -> pd.DataFrame:  # noqa: ANN001
-        if not len(sums):
-            return pd.DataFrame(columns=[c.split()[0] for c in _CLIENT.split(", ")])
-        run = runs[key[0]]
-        # partials in a fixed order, so the sum doesn't depend on how the samples lay
-        sums = sums.sort_values(["used", "g"])
-        total = lambda c: np.sum([np.frombuffer(x) for x in sums[c]], axis=0)
-        zero = np.zeros(run.d)
-        shift, table = (np.frombuffer(state[c].iloc[0]) for c in ("shift", "table")) if len(state) else (zero, zero)
-        at, v, shift, table = client_step(run, view.value, int(key[1]), total("g"), total("full"), shift, table)
-        return pd.DataFrame(
-            [("message", key[0], key[1], shift.tobytes(), table.tobytes(), at.astype("<i4").tobytes(), (run.weight_of(int(key[1])) * v).astype("<f8").tobytes(), int(sums["used"].sum()), int(sums["cut"].sum()))],
-            columns=[c.split()[0] for c in _CLIENT.split(", ")],
-        )
+        shift[at] += run.shift_at(t) * v
+    return at, v, shift, memory
+
+
+_CLIENT = "run string, client_id long, shift binary, memory binary, coords binary, values binary, used long, cut long, left binary, payload long"
+
+
+def _clients(runs: dict[str, Run], t: int):
+    """Rows of sums and of state in order of (run, client); one message for each."""
+    get = lambda x: None if x is None else np.frombuffer(x)
+
+    def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at, parts, state = None, [], None
+
+        def done() -> pa.RecordBatch:
+            run, client = runs[at[0]], at[1]
+            total, payload = None, 0
+            # partials in a fixed order, so the sum doesn't depend on how the samples lay
+            for g, full, used, cut, left in sorted(parts, key=lambda z: (z[2], z[0])):
+                pairs = np.frombuffer(left, "<i8").reshape(-1, 2).tolist() if left else []
+                s = estimators.Sums(get(g), get(full), used, cut, dict(map(tuple, pairs)))
+                payload += len(g) + (len(full) if full else 0)
+                if total is None:
+                    total = s
+                else:
+                    total.add(s)
+            shift, memory = (np.zeros(run.d), None) if state is None else (get(state[0]), get(state[1]))
+            coords, v, shift, memory = client_step(run, t, client, total, shift, memory)
+            v = run.weight_of(client) * v
+            left = [x for p in sorted(total.left.items()) for x in p] if total.left else None
+            return pa.RecordBatch.from_arrays(
+                [
+                    pa.array([run.name]), pa.array([client], pa.int64()), _bytes([shift if run.shifted else None]), _bytes([memory]), _bytes([coords], "<i4"), _bytes([v]),
+                    pa.array([total.used], pa.int64()), pa.array([total.cut], pa.int64()), _bytes([left], "<i8"), pa.array([payload + 12 * len(v)], pa.int64()),
+                ],
+                [c.split()[0] for c in _CLIENT.split(", ")],
+            )
+
+        for batch in batches:
+            for name, client, g, full, used, cut, left, shift, memory in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if (name, client) != at:
+                    if parts:
+                        yield done()
+                    at, parts, state = (name, client), [], None
+                if g is None:
+                    state = (shift if shift is not None else np.zeros(runs[name].d).tobytes(), memory) if name in runs else None
+                else:
+                    parts.append((g, full, used, cut, left))
+        if parts:
+            yield done()
 
     return go
 
 
-def _coordinates(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Messages as partial sums of values by (run, coordinate)."""
-    total: dict[str, dict[int, float]] = {}
+def _added(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(run, vector) in order of run: one vector for each run."""
+    total: dict[str, np.ndarray] = {}
     for batch in batches:
-        for name, at, v in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
-            have = total.setdefault(name, {})
-            for i, x in zip(np.frombuffer(at, "<i4").tolist(), np.frombuffer(v, "<f8").tolist(), strict=True):
-                have[i] = have.get(i, 0.0) + x
-    for name, have in total.items():
-        yield pa.RecordBatch.from_arrays([pa.array([name] * len(have)), pa.array(list(have), pa.int32()), pa.array(list(have.values()), pa.float64())], ["run", "coord", "value"])
+        for name, v in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+            x = np.frombuffer(v)
+            total[name] = total[name] + x if name in total else x
+    yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.string()), _bytes(list(total.values()))], ["run", "v"])
 
 
-def evaluate(loss, data: DataFrame, models: dict[str, np.ndarray], clip: float | None = None) -> dict[str, dict[str, float]]:  # noqa: ANN001
-    """Loss, squared norm of the unclipped full gradient, and share of correct rows, for each model."""
-    shared = data.sparkSession.sparkContext.broadcast(models)
+def totals(vectors: DataFrame) -> dict[str, np.ndarray]:
+    """(run, v) rows, at most one for each task and run, as the sum of each run.  Only the sums reach the driver."""
+    n = max(1, int(vectors.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    # in a fixed order, so the sum doesn't depend on which task came first
+    met = vectors.repartition(n, "run").sortWithinPartitions("run", "v").mapInArrow(_added, "run string, v binary")
+    return {r["run"]: np.frombuffer(r["v"]) for r in met.collect()}
+
+
+def _messages(runs: dict[str, Run], live: dict[str, list[int]]):
+    """Messages of a task as one vector for each run: gradients computed, clipped, payload, renewed entries by round, sum of values."""
 
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tot = {k: [0, 0.0, 0, np.zeros(len(x)), 0] for k, x in shared.value.items()}
+        total: dict[str, np.ndarray] = {}
         for batch in batches:
-            if batch.num_rows:
-                _, _, a, y = _features(batch)
-                for k, x in shared.value.items():
-                    g, _ = losses.summed(loss, a, y, x, None)
-                    cut = losses.summed(loss, a, y, x, clip)[1] if clip is not None else 0
-                    add = (len(y), float(loss.values(a, y, x).sum()), int(loss.correct(a, y, x).sum()), g, cut)
-                    tot[k] = [p + q for p, q in zip(tot[k], add, strict=True)]
-        ks = list(tot)
-        yield pa.RecordBatch.from_arrays(
-            [pa.array(ks), pa.array([tot[k][0] for k in ks]), pa.array([tot[k][1] for k in ks]), pa.array([tot[k][2] for k in ks]), pa.array([tot[k][3].tobytes() for k in ks], pa.binary()), pa.array([tot[k][4] for k in ks])],
-            ["run", "n", "loss", "right", "g", "cut"],
-        )
+            for name, at, v, used, cut, left, payload in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                rounds = live.get(name, [])
+                have = total.setdefault(name, np.zeros(3 + len(rounds) + runs[name].d))
+                have[:3] += (used, cut, payload)
+                for r, k in np.frombuffer(left, "<i8").reshape(-1, 2).tolist() if left else []:
+                    have[3 + rounds.index(r)] += k
+                have[3 + len(rounds) + np.frombuffer(at, "<i4")] += np.frombuffer(v)
+        yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.string()), _bytes(list(total.values()))], ["run", "v"])
 
-    rows = data.select("client_id", "seq", "features", "label").mapInArrow(go, "run string, n long, loss double, right long, g binary, cut long")
-    # one small row for each partition and model, added up for each model in a fixed order
+    return go
 
-    def add(key, part: pd.DataFrame) -> pd.DataFrame:  # noqa: ANN001
-        part = part.sort_values(["n", "loss", "g"])
-        g = np.sum([np.frombuffer(x) for x in part["g"]], axis=0)
-        return pd.DataFrame({"run": [key[0]], "n": [part["n"].sum()], "loss": [part["loss"].sum()], "right": [part["right"].sum()], "g": [g.tobytes()], "cut": [part["cut"].sum()]})
 
-    total = rows.groupBy("run").applyInPandas(add, rows.schema).collect()
-    out = {r["run"]: (r["n"], r["loss"], r["right"], np.frombuffer(r["g"]), r["cut"]) for r in total}
-    return {
-        k: {"loss": v[1] / v[0], "accuracy": v[2] / v[0], "grad_sq": float(((v[3] / v[0]) ** 2).sum()), "clipped_share": v[4] / v[0]} for k, v in out.items() if v[0]
-    }
+def evaluate(loss, data: DataFrame, models: dict[str, np.ndarray], clip: float | None = None) -> dict[str, dict[str, float]]:  # noqa: ANN001
+    """Loss, share of correct rows, squared norms of the unclipped and of the clipped full gradient, and the
+    clipped share, for each model."""
+    names = list(models)
+    shared = data.sparkSession.sparkContext.broadcast(np.stack([models[k] for k in names]))
+
+    def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tot, n = None, 0
+        for batch in batches:
+            if batch.num_rows:
+                _, _, a, y = _features(batch)
+                n += len(y)
+                for i in range(0, len(y), losses.ROWS):
+                    got = loss.measured(a[i : i + losses.ROWS], y[i : i + losses.ROWS], shared.value, clip)
+                    tot = got if tot is None else [p + q for p, q in zip(tot, got, strict=True)]
+        if tot is not None:
+            rows = [np.concatenate([[n, tot[0][k], tot[1][k], tot[3][k]], tot[2][k], tot[4][k]]) for k in range(len(names))]
+            yield pa.RecordBatch.from_arrays([pa.array(names), _bytes(rows)], ["run", "v"])
+
+    got = totals(data.select("client_id", "seq", "features", "label").mapInArrow(go, "run string, v binary"))
+    shared.destroy()
+    out = {}
+    for k, v in got.items():
+        n, (g, c) = v[0], np.split(v[4:], 2)
+        out[k] = {"loss": v[1] / n, "accuracy": v[2] / n, "grad_sq": float(((g / n) ** 2).sum()), "clipped_share": v[3] / n, "clipped_grad_sq": float(((c / n) ** 2).sum())}
+    return out
 
 
 TRACE = (
     "run string, method string, eps double, round int, coords_sent long, value_bits long, index_bits long, grads long, clipped long, "
-    "grad_sq double, mean_grad_sq double, loss double, accuracy double"
+    "grad_sq double, mean_grad_sq double, loss double, accuracy double, clipped_share double, clipped_grad_sq double, drift double, "
+    "seconds double, payload long"
 )
 
+#: Rounds whose batches one scan fetches, at most.
+AHEAD = 50
+
 
-def train(samples: DataFrame, runs: list[Run], loss, eval_every: int = 5, test: DataFrame | None = None) -> tuple[dict[str, np.ndarray], list[tuple]]:  # noqa: ANN001
+def _ahead(samples: DataFrame, runs: list[Run], clients: list[int], t0: int, t1: int) -> DataFrame:
+    """(round, client_id, seq, features, label) of the samples that the runs' batches of rounds t0 to t1 - 1 draw."""
+    draws = {c: sorted({r.draw(c) for r in runs}) for c in clients}
+
+    def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            who, seq = (batch.column(i).to_numpy(zero_copy_only=False).astype(np.int64) for i in (0, 1))
+            at, when = [], []
+            for c in np.unique(who).tolist():
+                mine = np.flatnonzero(who == c)
+                for u in range(t0, t1):
+                    hit = np.zeros(len(mine), dtype=bool)
+                    for draw in draws[c]:
+                        hit |= drawn(draw, c, seq[mine], u)
+                    at.append(mine[hit])
+                    when.append(np.full(int(hit.sum()), u, dtype=np.int32))
+            if at:
+                got = batch.take(pa.array(np.concatenate(at)))
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(when)), *got.columns], ["round", *got.schema.names])
+
+    return samples.mapInArrow(go, "round int, client_id long, seq long, features array<double>, label double")
+
+
+@dataclass
+class _Progress:
+    """The server's side of a run."""
+
+    x: np.ndarray
+    reference: np.ndarray
+    snapshot: np.ndarray
+    moved: bool
+    #: of each round in use, how many samples' table entries hold its model, and that model
+    held: dict[int, int] = field(default_factory=dict)
+    points: dict[int, np.ndarray] = field(default_factory=dict)
+    sent: np.ndarray = field(default_factory=lambda: np.zeros(5, dtype=np.int64))
+    payload: int = 0
+    means: list[float] = field(default_factory=list)
+
+    def drift(self, run: Run) -> float | None:
+        """The estimator's drift: squared distance to the snapshot, or the mean one to the samples' points."""
+        if run.how.snapshot:
+            return float(((self.x - self.snapshot) ** 2).sum())
+        if run.how.table:
+            return sum(n * float(((self.x - self.points[r]) ** 2).sum()) for r, n in self.held.items()) / sum(self.held.values())
+        return None
+
+
+def _check(runs: list[Run], eval_every: int) -> None:
+    outside = []
+    for run in runs:
+        compress.check_order(run.order, run.unsafe_order)
+        if run.rounds / eval_every < 1:
+            raise ValueError("eval_every must be below the number of rounds")
+        if run.privacy is not None:
+            with warnings.catch_warnings():
+                warnings.simplefilter("ignore")
+                if not theory.in_regime(run.privacy, run.batch, run.rounds, run.m):
+                    outside.append(run.name)
+    if outside:
+        warnings.warn(f"eps of {len(outside)} runs, such as {outside[0]}, is beyond the condition of the noise formula", stacklevel=3)
+
+
+def train(samples: DataFrame, runs: list[Run], loss, eval_every: int = 5, test: DataFrame | None = None, references: DataFrame | None = None) -> tuple[dict[str, np.ndarray], list[tuple]]:  # noqa: ANN001
     """Advance all runs together; returns their final models and rows of TRACE.
 
     Each run makes exactly run.rounds updates; measures are taken before the
     update of every eval_every-th round and after the last, and the running mean
-    is over those.  samples should be persisted.
+    is over those.  references: (client_id, values), the clients' first reference
+    vectors for shifted runs, zero where absent.  samples should be persisted.
     """
     spark: SparkSession = samples.sparkSession
-    for run in runs:
-        compress.check_order(("estimate", "perturb", "compress"))
-        if run.rounds / eval_every < 1:
-            raise ValueError("eval_every must be below the number of rounds")
-    n = samples.select("client_id").distinct().count()
-    x = {r.name: loss.start(r.d) for r in runs}
-    history = {r.name: [x[r.name]] for r in runs}
-    reference = {r.name: np.zeros(r.d) for r in runs}
-    snapshot = {r.name: 0 for r in runs}
-    moved = {r.name for r in runs if r.estimator == "svrg"}
-    sent = {r.name: np.zeros(5, dtype=np.int64) for r in runs}
-    means: dict[str, list[float]] = {r.name: [] for r in runs}
-    trace: list[tuple] = []
+    sc = spark.sparkContext
+    _check(runs, eval_every)
+    samples = samples.select(F.col("client_id").cast("long").alias("client_id"), F.col("seq").cast("long").alias("seq"), "features", F.col("label").cast("double").alias("label"))
+    sizes = {r["client_id"]: r["count"] for r in samples.groupBy("client_id").count().collect()}  # one row for each client
+    clients, n = sorted(sizes), len(sizes)
+    at = {}
+    for r in runs:
+        x = loss.start(r.d)
+        at[r.name] = _Progress(x, np.zeros(r.d), x, r.how.snapshot, {0: sum(sizes.values())} if r.how.table else {}, {0: x} if r.how.table else {})
     state, old = spark.createDataFrame([], _STATE), None
+    if references is not None:
+        state = _first_state(references, runs)
+        for r in runs:
+            if r.shifted:
+                mean = references.select("client_id", F.posexplode("values").alias("i", "v")).collect()
+                for row in mean:
+                    at[r.name].reference[row["i"]] += r.weight_of(row["client_id"]) * row["v"] / n
+    trace: list[tuple] = []
+    began = time.monotonic()
 
     def measure(t: int, live: list[Run]) -> None:
-        got = evaluate(loss, samples, {r.name: x[r.name] for r in live})
-        held = evaluate(loss, test, {r.name: x[r.name] for r in live}) if test is not None else got
+        models = {r.name: at[r.name].x for r in live}
+        got: dict = {}
+        for clip in {r.clip for r in live}:
+            got |= evaluate(loss, samples, {r.name: models[r.name] for r in live if r.clip == clip}, clip)
+        held = evaluate(loss, test, models) if test is not None else got
         for r in live:
-            q = got[r.name]
-            means[r.name].append(q["grad_sq"])
+            q, p = got[r.name], at[r.name]
+            p.means.append(q["grad_sq"])
             trace.append(
-                (r.name, r.method, r.privacy.eps if r.privacy else None, t, *map(int, sent[r.name]), q["grad_sq"], float(np.mean(means[r.name])), q["loss"], held[r.name]["accuracy"])
-            )
-
+                (
+                    r.name, r.method, r.privacy.eps if r.private else None, t, *map(int, p.sent), q["grad_sq"], float(np.mean(p.means)), float(q["loss"]),
+                    float(held[r.name]["accuracy"]), float(q["clipped_share"]), q["clipped_grad_sq"], p.drift(r), time.monotonic() - began, p.payload,
+                )
+            )
+
+    past: dict[int, object] = {}
+    near, near_end = None, 0
     for t in range(max(r.rounds for r in runs)):
         live = [r for r in runs if t < r.rounds]
         if t % eval_every == 0:
             measure(t, live)
-        view = spark.sparkContext.broadcast(View(t, {r.name: history[r.name] if r.estimator in ("saga", "svrg") else [x[r.name]] for r in live}, dict(snapshot), set(moved)))
-        sums = samples.select("client_id", "seq", "features", "label").mapInArrow(_partial(loss, live, view), _SUMS)
-        made = (
-            sums.groupBy("run", "client_id").cogroup(state.groupBy("run", "client_id")).applyInPandas(_clients({r.name: r for r in live}, view), _CLIENT)
-        )
+        tables = [r for r in live if r.how.table]
+        if tables:
+            past[t] = sc.broadcast({r.name: at[r.name].x for r in tables})
+        full = {r.name for r in live if (r.how.snapshot and at[r.name].moved) or (r.how.table and t == 0)}
+        in_use = {r.name: sorted(at[r.name].held) for r in tables}
+        view = View(t, {r.name: at[r.name].x for r in live}, {r.name: at[r.name].snapshot for r in live if r.how.snapshot}, full, in_use)
+        shared = sc.broadcast(view)
+        # runs whose round needs only a batch read the rows fetched beforehand
+        whole = [r for r in live if r.name in full or r.batch >= r.m]
+        part = [r for r in live if r not in whole]
+        if part and t >= near_end:
+            small = [r for r in live if r.batch < r.m]
+            share = sum(b / m for _, m, b in {r.draw(clients[0]) for r in small})
+            span = min(AHEAD, int(0.25 / share))
+            if near is not None:
+                near.unpersist()
+                near = None
+            near_end = t + max(1, span)
+            if span > 1:
+                near = _ahead(samples, small, clients, t, near_end).persist()
+        if near is None:
+            whole, part = live, []
+        sums = samples.mapInArrow(_partial(loss, whole, shared, past), _SUMS) if whole else None
+        if part:
+            rows = near.filter(F.col("round") == t).drop("round").mapInArrow(_partial(loss, part, shared, past), _SUMS)
+            sums = rows if sums is None else sums.unionByName(rows)
+        by_name = {r.name: r for r in live}
+        both = sums.unionByName(state, allowMissingColumns=True)
+        parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
+        made = both.repartition(parts, "run", "client_id").sortWithinPartitions("run", "client_id").mapInArrow(_clients(by_name, t), _CLIENT)
         made = storage.settle(made, f"round-{t}")
-        parts = made.select("run", "coords", "values").mapInArrow(_coordinates, "run string, coord int, value double").groupBy("run", "coord").agg(F.sum("value").alias("value"))
-        mean = {r.name: np.zeros(r.d) for r in live}
-        got = parts.toPandas()  # at most d numbers for each run, whatever the number of clients
-        for name, rows in got.groupby("run"):
-            mean[name][rows["coord"].to_numpy()] = rows["value"].to_numpy() / n
-        for name, used, cut in made.groupBy("run").agg(F.sum("used"), F.sum("cut")).collect():
-            r = next(q for q in live if q.name == name)
-            v, i = r.squeeze.bits(r.d)
-            sent[name] += np.array([n * r.squeeze.kept(r.d), n * v, n * i, used, cut])
+        got = totals(made.select("run", "coords", "values", "used", "cut", "left", "payload").mapInArrow(_messages(by_name, in_use), "run string, v binary"))
         for r in live:
-            moved.discard(r.name)
-            if r.estimator == "svrg" and r.coin(t):
-                # the snapshot takes the model before this round's update
-                snapshot[r.name] = len(history[r.name]) - 1
-                moved.add(r.name)
-            x[r.name] = x[r.name] - r.eta * (reference[r.name] + mean[r.name])
-            reference[r.name] = reference[r.name] + r.shift * mean[r.name]
-            history[r.name].append(x[r.name])
-            if r.estimator == "svrg":
-                # only the snapshot and the present model are ever read again
-                history[r.name] = [history[r.name][snapshot[r.name]], x[r.name]]
-                snapshot[r.name] = 0
-        state = made.select("run", "client_id", "shift", "table")
+            p, v = at[r.name], got[r.name]
+            rounds = in_use.get(r.name, [])
+            mean = v[3 + len(rounds) :] / n
+            if rounds:
+                for u, k in zip(rounds, v[3 : 3 + len(rounds)].tolist(), strict=True):
+                    p.held[u] -= int(k)
+                    p.held[t] = p.held.get(t, 0) + int(k)
+                p.points[t] = p.x
+                for u in [u for u, k in p.held.items() if k == 0]:
+                    del p.held[u], p.points[u]
+            value_bits, index_bits = r.squeeze.bits(r.d)
+            p.sent += np.array([n * r.squeeze.kept(r.d), n * value_bits, n * index_bits, int(v[0]), int(v[1])])
+            p.payload += int(v[2])
+            p.moved = r.how.snapshot and r.coin(t)
+            if p.moved:
+                p.snapshot = p.x  # the snapshot takes the model before this round's update
+            p.x = p.x - r.eta_at(t) * (p.reference + mean)
+            p.reference = p.reference + r.shift_at(t) * mean
+        shared.destroy()
+        used = {u for r in tables if r.rounds > t + 1 for u in at[r.name].held}
+        for u in [u for u in past if u not in used]:
+            past.pop(u).destroy()
+        state = made.select("run", "client_id", "shift", "memory")
         if old is not None:
             storage.drop(old)
         old = made
         ended = [r for r in live if r.rounds == t + 1]
         if ended:
             measure(t + 1, ended)
-    return x, trace
+    if near is not None:
+        near.unpersist()
+    return {k: p.x for k, p in at.items()}, trace
+
+
+def _first_state(references: DataFrame, runs: list[Run]) -> DataFrame:
+    """Rows of _STATE with the clients' first references for every shifted run."""
+    names = [r.name for r in runs if r.shifted]
+
+    def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for client, values in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                k = len(names)
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(names, pa.string()), pa.array([client] * k, pa.int64()), _bytes([values] * k), pa.array([None] * k, pa.binary())], ["run", "client_id", "shift", "memory"]
+                )
+
+    return references.select(F.col("client_id").cast("long"), F.col("values").cast("array<double>")).mapInArrow(go, _STATE)

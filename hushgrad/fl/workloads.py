@@ -1,17 +1,20 @@
 """Training data from the given tables, in the form the training loop reads.
 
 samples: client_id, seq (0.. within a client), features, label, part ('train' or
-'test').  All clients have equally many training samples.
+'test').  Every sample takes part; the ten clients' sizes are at most one apart,
+natural clients have what they have, and `train.Run` weighs them by their sizes.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from hushgrad.fl import losses
+from hushgrad.fl import losses, storage
 from hushgrad.functions import digest
 from hushgrad.sources.tables import load
 
@@ -30,89 +33,119 @@ def _rank(df: DataFrame, key: str, by: list[str], name: str) -> DataFrame:
     return out.withColumn(name, F.col("_b") + F.col("_r") - 1).drop("_u", "_k", "_b", "_r")
 
 
-def dealt(df: DataFrame, key: str = "sample_id", natural: str | None = None) -> DataFrame:
-    """Rows with client_id, seq and part.  A fifth is for testing; the rest goes to ten clients of
+def dealt(df: DataFrame, key: str = "sample_id", natural: str | None = None, clients: int = CLIENTS) -> DataFrame:
+    """Rows with client_id, seq and part.  A fifth is for testing; the rest goes to `clients` clients of
     sizes at most one apart, by rank, or to the clients that the column `natural` names."""
     ranked = _rank(df, key, [], "place")
     parts = ranked.withColumn("part", F.when(F.col("place") % 5 == 0, "test").otherwise("train"))
     test = parts.filter("part = 'test'").withColumn("client_id", F.lit(0)).withColumn("seq", F.lit(0).cast("long"))
     train = parts.filter("part = 'train'")
     if natural:
-        # one row for each client is numbered, not one for each sample
-        names = train.select(natural).distinct().withColumn("client_id", F.expr(f"cast(row_number() over (order by {natural}) - 1 as int)"))
+        # one row for each client is numbered, by digest buckets like the samples
+        names = _rank(train.select(natural).distinct(), natural, [], "client_id")
         train = _rank(train.join(names, natural), key, ["client_id"], "seq")
     else:
         turn = F.col("place") - F.floor(F.col("place") / 5) - 1
-        train = train.withColumn("client_id", (turn % CLIENTS).cast("int")).withColumn("seq", F.floor(turn / CLIENTS))
+        train = train.withColumn("client_id", (turn % clients).cast("int")).withColumn("seq", F.floor(turn / clients))
     return train.unionByName(test)
 
 
-def _unit(df: DataFrame, features: list, name: str = "features") -> DataFrame:
-    """df with a vector of norm 1.  Vector, norm and quotient are columns of their own, so none is worked out per entry."""
-    df = df.withColumn("_v", F.array(*features))
-    df = df.withColumn("_len", F.sqrt(F.aggregate("_v", F.lit(0.0), lambda s, x: s + x * x)))
-    return df.withColumn(name, F.transform("_v", lambda x: F.when(F.col("_len") > 0, x / F.col("_len")).otherwise(0.0))).drop("_v", "_len")
-
-
 #: Vocabulary of the categorical features, pinned.
 SEGMENTS = ["AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY"]
 WIDTH = 123
 
 
-def tab_logistic(spark: SparkSession, sf_dir: str, natural: bool = False) -> DataFrame:
+#: Indicator groups of a line: column, first value and number of values; values outside give no indicator.
+GROUPS = [("q", 0, 10), ("d", 0, 11), ("t", 0, 9), ("e", 0, 10), ("ln", 0, 7), ("mo", 1, 12), ("yr", 0, 7), ("sz", 0, 10), ("na", 0, 25), ("pr", 49, 5), ("rf", 0, 3), ("ls", 0, 2), ("ms", 0, 5)]
+
+
+def tab_logistic(spark: SparkSession, sf_dir: str, natural: bool = False, clients: int = CLIENTS) -> DataFrame:
     """Lines with their order, customer and part as indicators, rows of unit norm, and a planted label:
-    the sign of a digest-normal score against its median, one in twenty flipped by digest."""
+    the sign of a digest-normal score against its median, one in twenty flipped by digest.
+
+    Rows are dealt to clients as a few small columns; the wide vectors are made last, and not moved."""
     li, o, c, p = (load(spark, sf_dir, t) for t in ("lineitem", "orders", "customer", "part"))
     wide = (
         li.join(o, li["l_orderkey"] == o["o_orderkey"]).join(c, F.col("o_custkey") == F.col("c_custkey")).join(p, F.col("l_partkey") == F.col("p_partkey"))
     )
-    hot = lambda col, n: [(F.col(col) == i).cast("double") for i in range(n)]
+    code = lambda col, values: F.array_position(F.array(*map(F.lit, values)), F.col(col)) - 1
     wide = wide.select(
         F.concat_ws("|", "l_orderkey", "l_partkey", "l_suppkey", "l_linenumber").alias("sample_id"),
         F.col("l_suppkey").alias("owner"),
         F.least(F.floor(F.col("l_quantity") / 5), F.lit(9)).alias("q"), F.round(F.col("l_discount") * 100).alias("d"), F.round(F.col("l_tax") * 100).alias("t"),
         F.least(F.floor(F.col("l_extendedprice") / 10500), F.lit(9)).alias("e"), (F.col("l_linenumber") - 1).alias("ln"), F.month("l_shipdate").alias("mo"),
         (F.year("l_shipdate") - 1992).alias("yr"), F.least(F.floor(F.col("p_size") / 5), F.lit(9)).alias("sz"), F.col("c_nationkey").alias("na"),
-        F.ascii(F.substring("o_orderpriority", 1, 1)).alias("pr"), "l_returnflag", "l_linestatus", "c_mktsegment", F.month("o_orderdate").alias("om"),
+        F.ascii(F.substring("o_orderpriority", 1, 1)).alias("pr"), code("l_returnflag", "ANR").alias("rf"), code("l_linestatus", "FO").alias("ls"), code("c_mktsegment", SEGMENTS).alias("ms"),
     )
-    feats = [*hot("q", 10), *hot("d", 11), *hot("t", 9), *hot("e", 10), *hot("ln", 7), *[(F.col("mo") == i).cast("double") for i in range(1, 13)], *hot("yr", 7), *hot("sz", 10), *hot("na", 25)]
-    feats += [(F.col("pr") == 49 + i).cast("double") for i in range(5)] + [(F.col("l_returnflag") == v).cast("double") for v in "ANR"]
-    feats += [(F.col("l_linestatus") == v).cast("double") for v in "FO"] + [(F.col("c_mktsegment") == v).cast("double") for v in SEGMENTS]
-    feats += [F.lit(0.0)] * (WIDTH - 1 - len(feats)) + [F.lit(1.0)]
-    rows = _unit(wide, feats).select("sample_id", "owner", "features")
-    teacher = F.array(*[F.lit(digest.normal_value("teacher", j)) for j in range(WIDTH)])
-    rows = rows.withColumn("z", F.aggregate(F.zip_with("features", teacher, lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v))
-    mid = rows.agg(F.percentile_approx("z", 0.5, 10_000).alias("mid"))
+    # the score is a sum of one teacher's entry for each group: no vector is needed for it
+    teacher, score, hot, at = [digest.normal_value("teacher", j) for j in range(WIDTH)], F.lit(teacher_bias()), F.lit(1), 0
+    for name, first, n in GROUPS:
+        inside = F.col(name).between(first, first + n - 1)
+        score = score + F.when(inside, F.element_at(F.array(*map(F.lit, teacher[at : at + n])), (F.col(name) - first + 1).cast("int"))).otherwise(0.0)
+        hot = hot + F.when(inside, 1).otherwise(0)
+        at += n
+    codes = [F.col(name).cast("byte").alias(name) for name, _, _ in GROUPS]
+    rows = wide.select("sample_id", "owner", *codes, hot.alias("hot"), (score / F.sqrt(hot)).alias("z"))
+    # read twice, for the median and for the rows
+    rows = storage.settle(rows, "lines")
+    mid = rows.agg(F.percentile_approx("z", 0.5, 10_000)).first()[0]
     flip = F.when(digest.uniform("flip", F.col("sample_id")) < 0.05, -1.0).otherwise(1.0)
-    rows = rows.crossJoin(F.broadcast(mid)).withColumn("label", F.when(F.col("z") > F.col("mid"), 1.0).otherwise(-1.0) * flip)
-    return dealt(rows, natural="owner" if natural else None).select("client_id", "seq", "features", "label", "part")
+    rows = rows.withColumn("label", F.when(F.col("z") > F.lit(mid), 1.0).otherwise(-1.0) * flip).drop("z")
+    rows = dealt(rows, natural="owner" if natural else None, clients=clients).withColumn("_one", 1.0 / F.sqrt("hot"))
+    entries = [F.when(F.col(name) == first + i, F.col("_one")).otherwise(0.0) for name, first, n in GROUPS for i in range(n)]
+    entries += [F.lit(0.0)] * (WIDTH - 1 - len(entries)) + [F.col("_one")]
+    return rows.select("client_id", "seq", F.array(*entries).alias("features"), "label", "part")
+
+
+def teacher_bias() -> float:
+    """The planted teacher's entry for the intercept."""
+    return digest.normal_value("teacher", WIDTH - 1)
 
 
 def doc_logistic(spark: SparkSession, sf_dir: str, label: str = "lang") -> DataFrame:
     """Documents as counts of 122 hashed lower-case words, rows of unit norm, with an intercept.
-    label 'lang': English or not; 'quality' or 'toxic': the labels table, with shares of letters, digits and other signs added."""
+    label 'lang': English or not; 'quality' or 'toxic': the labels table, with shares of letters, digits and other signs added.
+
+    A document's counts are made from its own words, in place, so no text is shuffled."""
     d = load(spark, sf_dir, "documents")
     y = F.when(F.col("lang") == "en", 1.0).otherwise(-1.0)
     if label != "lang":
         d = d.join(load(spark, sf_dir, "labels"), "doc_id")
         y = F.when(F.col(label) == 1, 1.0).otherwise(-1.0)
     places = 122 if label == "lang" else 119
-    words = F.filter(F.split(F.lower("text"), "\\s+"), lambda w: w != "")
-    hashed = F.transform(words, lambda w: F.pmod(F.xxhash64(w), F.lit(places)))
-    tokens = d.select("doc_id", y.alias("label"), "text", F.explode_outer(hashed).alias("h"))
-    counts = tokens.groupBy("doc_id", "label", "h").agg(F.count(F.lit(1)).alias("n"), F.first("text").alias("text"))
-    per = counts.groupBy("doc_id", "label").agg(F.map_from_entries(F.collect_list(F.when(F.col("h").isNotNull(), F.struct("h", F.col("n").cast("double"))))).alias("m"), F.first("text").alias("text"))
-    feats = [F.coalesce(F.element_at("m", F.lit(i).cast("long")), F.lit(0.0)) for i in range(places)]
-    per = _unit(per, feats, "v")
+    words = F.filter(F.split(F.lower(F.coalesce("text", F.lit(""))), "\\s+"), lambda w: w != "")
+    hashed = F.sort_array(F.transform(words, lambda w: F.pmod(F.xxhash64(w), F.lit(places)).cast("int")))
     v = F.col("v")
+    shares = []
     if label != "lang":
         size = F.greatest(F.char_length("text"), F.lit(1)).cast("double")
         share = lambda pattern: F.char_length(F.regexp_replace("text", pattern, "")) / size
-        v = F.concat(v, F.array(share("[^\\p{L}]"), share("[^\\p{N}]"), share("[\\p{L}\\p{N}\\s]")))
-    rows = per.select(F.col("doc_id").alias("sample_id"), "label", F.concat(v, F.array(F.lit(1.0))).alias("features"))
+        shares = [share("[^\\p{L}]"), share("[^\\p{N}]"), share("[\\p{L}\\p{N}\\s]")]
+    slim = d.select(F.col("doc_id").alias("sample_id"), y.alias("label"), hashed.alias("h"), *[x.alias(f"share{i}") for i, x in enumerate(shares)])
+    # numbers of words by place, counted over the sorted places of one document
+    counted = slim.mapInArrow(_counts(places), "sample_id long, label double, v array<double>" + "".join(f", share{i} double" for i in range(len(shares))))
+    rows = counted.select("sample_id", "label", F.concat(v, F.array(*[F.col(f"share{i}") for i in range(len(shares))], F.lit(1.0))).alias("features"))
     return dealt(rows).select("client_id", "seq", "features", "label", "part")
 
 
+def _counts(places: int):
+    """The place lists of documents as count vectors of unit norm."""
+
+    def go(batches):  # noqa: ANN001, ANN202
+        for batch in batches:
+            lists = batch.column(2)
+            off = lists.offsets.to_numpy().astype(np.int64)
+            flat = lists.values.to_numpy(zero_copy_only=False)[off[0] : off[-1]]
+            n = batch.num_rows
+            v = np.bincount(np.repeat(np.arange(n), np.diff(off)) * places + flat, minlength=n * places).reshape(n, places).astype(np.float64)
+            norm = np.sqrt((v * v).sum(axis=1, keepdims=True))
+            v = np.divide(v, norm, out=v, where=norm > 0)
+            wide = pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * places), pa.array(v.reshape(-1)))
+            yield pa.RecordBatch.from_arrays([*batch.columns[:2], wide, *batch.columns[3:]], ["sample_id", "label", "v", *batch.schema.names[3:]])
+
+    return go
+
+
 def vec_network(spark: SparkSession, sf_dir: str, planted: bool = True) -> DataFrame:
     """Embeddings with ten classes: the nearest of ten digest-normal directions, or the table's own labels."""
     e = load(spark, sf_dir, "embeddings")
@@ -154,23 +187,51 @@ DELTA = 1e-3
 COMPARED = ("direct_sgd", "shifted_sgd", "shifted_svrg", "ldp_sgd", "ldp_svrg")
 
 
-def prepare(spark: SparkSession, name: str, sf_dir: str) -> tuple[DataFrame, DataFrame, int]:
-    """(training samples clustered by client and persisted, test samples, m).
+def _ready(rows: DataFrame) -> tuple[DataFrame, DataFrame, dict[int, int]]:
+    """(training samples, test samples, sizes of the clients), the first two persisted.
+
+    A client's samples are dealt over tasks by seq, so there are as many tasks as
+    the session has partitions, whatever the number of clients."""
+    tasks = max(1, int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    train = rows.filter("part = 'train'").drop("part").repartition(tasks, "client_id", F.floor(F.col("seq") / 64)).persist()
+    sizes = {r["client_id"]: r["count"] for r in train.groupBy("client_id").count().collect()}
+    return train, rows.filter("part = 'test'").drop("part").persist(), sizes
+
+
+def prepare(spark: SparkSession, name: str, sf_dir: str) -> tuple[DataFrame, DataFrame, dict[int, int]]:
+    return _ready(WORKLOADS[name].build(spark, sf_dir))
+
 
-    The methods assume equally many samples on every client, so m is the smallest
-    client's number and samples numbered beyond it don't take part: at most one
-    for each of the ten equal clients.
-    """
-    rows = WORKLOADS[name].build(spark, sf_dir)
-    train = rows.filter("part = 'train'").drop("part")
-    m = int(train.groupBy("client_id").agg(F.count(F.lit(1)).alias("m")).agg(F.min("m")).first()[0])
-    train = train.filter(F.col("seq") < m).repartition(CLIENTS, "client_id").persist()
-    return train, rows.filter("part = 'test'").drop("part").persist(), m
+def prepare_single(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, dict[int, int]]:
+    """tab_logistic with all samples on one node."""
+    return _ready(tab_logistic(spark, sf_dir, clients=1))
 
 
 def prepare_natural(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, dict[int, int]]:
-    """tab_logistic with a client for each supplier: all samples, and the clients' sizes for `train.Run`."""
-    rows = tab_logistic(spark, sf_dir, natural=True)
-    train = rows.filter("part = 'train'").drop("part").repartition("client_id").persist()
-    sizes = {r["client_id"]: r["m"] for r in train.groupBy("client_id").agg(F.count(F.lit(1)).alias("m")).collect()}
-    return train, rows.filter("part = 'test'").drop("part").persist(), sizes
+    """tab_logistic with a client for each supplier."""
+    return _ready(tab_logistic(spark, sf_dir, natural=True))
+
+
+def release(*frames: DataFrame) -> None:
+    for f in frames:
+        f.unpersist()
+
+
+def wide_network(spark: SparkSession, rows: int = 2000, inputs: int = 784) -> DataFrame:
+    """Made-up samples for the network of 784 inputs: digest-seeded features of unit norm and classes of their largest of
+    ten blocks.  It shows that the full size runs; it says nothing about accuracy on images."""
+
+    def go(batches):  # noqa: ANN001, ANN202
+        for batch in batches:
+            ids = batch.column(0).to_numpy()
+            a = np.stack([digest.philox(784, int(i)).standard_normal(inputs) for i in ids]) if len(ids) else np.zeros((0, inputs))
+            y = np.abs(a[:, : inputs // 10 * 10]).reshape(len(ids), 10, -1).sum(axis=2).argmax(axis=1).astype(np.float64) if len(ids) else np.zeros(0)
+            a = a / np.sqrt((a * a).sum(axis=1, keepdims=True)) if len(ids) else a
+            wide = pa.ListArray.from_arrays(pa.array(np.arange(len(ids) + 1, dtype=np.int32) * inputs), pa.array(a.reshape(-1)))
+            yield pa.RecordBatch.from_arrays([pa.array(ids), wide, pa.array(y)], ["sample_id", "features", "label"])
+
+    return dealt(spark.range(rows).mapInArrow(go, "sample_id long, features array<double>, label double")).select("client_id", "seq", "features", "label", "part")
+
+
+NETWORK_784 = Workload("wide_network", lambda spark, sf_dir: wide_network(spark), losses.ShallowNet(784), losses.ShallowNet(784).dimension(), 1.0, (1.0, 2.0, 4.0, 8.0, 16.0), 2544)
+WORKLOADS["wide_network"] = NETWORK_784

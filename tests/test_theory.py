@@ -7,7 +7,7 @@ import warnings
 import numpy as np
 import pytest
 
-from hushgrad.fl import accountant, compress, losses, theory, train
+from hushgrad.fl import accountant, compress, estimators, losses, theory, train
 from hushgrad.functions import digest
 
 SPEC = theory.PrivacySpec(1.0, 1e-3)
@@ -69,11 +69,6 @@ def test_direct_communication_row_is_rounds_times_round_cost():
     assert rows["direct_compression_sgd"][3] == pytest.approx(theory.communication(n, d, rounds, w))
 
 
-def test_svrg_expects_three_batches_a_round():
-    m, b = 4096, 64
-    assert 2 * b + (b / m) * m == 3 * b
-
-
 def test_random_k_over_all_masks():
     v = np.array([1.0, 2.0, 3.0, 4.0])
     sent = [np.where(np.arange(4) == i, v * 4, 0.0) for i in range(4)]
@@ -158,48 +153,121 @@ def test_accountant_moves_the_right_way():
     assert s(0.0, 1, 0.1, 1e-3) == math.inf and s(1e6, 10, 0.1, 1e-3) < 0.05
 
 
-def make_run(method, **kw):
-    kw = {"b": 2, "p": 0.4, "clip": None, "m": 5, "d": 3, "eta": 0.1, "rounds": 5} | kw
-    return train.Run(method, method, **kw)
+def small_problem():
+    rng = np.random.default_rng(4)
+    return losses.LogisticNonconvex(0.2), rng.normal(size=(5, 3)), np.sign(rng.normal(size=5)), [rng.normal(size=3) for _ in range(3)]
 
 
-@pytest.mark.parametrize("method", ["ldp_sgd", "ldp_svrg", "ldp_saga"])
-def test_estimators_are_unbiased_over_all_batches(method, monkeypatch):
-    rng = np.random.default_rng(4)
-    loss, m = losses.LogisticNonconvex(0.2), 5
-    a, y, seq = rng.normal(size=(m, 3)), np.sign(rng.normal(size=m)), np.arange(m)
-    run = make_run(method)
-    past = [rng.normal(size=3), rng.normal(size=3), rng.normal(size=3)]
-    view = train.View(2, {method: past}, {method: 0}, {method})
-    full = losses.summed(loss, a, y, past[-1], None)[0] / m
-    table = losses.summed(loss, a, y, past[0], None)[0] / m
-    last = np.array([0, 1, 0, 1, 0])
-    if method == "ldp_saga":
-        table = np.mean([loss.gradients(a[j : j + 1], y[j : j + 1], past[last[j]])[0] for j in range(m)], axis=0)
-        monkeypatch.setattr(train, "last_rounds", lambda r, c, s, t: last[s])
-    mean, var = np.zeros(3), 0.0
-    batches = list(itertools.combinations(range(m), 2))
-    for batch in batches:
-        monkeypatch.setattr(train.Run, "sampled", lambda self, c, s, t, batch=batch: np.isin(s, batch))
-        g, w, _, _ = train.local_sums(loss, run, view, 0, seq, a, y)
-        at, v, _, _ = train.client_step(run, view, 0, g, w, np.zeros(3), table)
-        mean += v / len(batches)
-        var += ((v - full) ** 2).sum() / len(batches)
-    assert mean == pytest.approx(full)
-    assert var > 0
+def gradients_of(loss, a, y, x):
+    return np.stack([loss.gradients(a[j : j + 1], y[j : j + 1], x)[0] for j in range(len(y))])
 
 
-def test_estimator_identities():
-    rng = np.random.default_rng(4)
-    loss, m = losses.LogisticNonconvex(0.2), 5
-    a, y, seq = rng.normal(size=(m, 3)), np.sign(rng.normal(size=m)), np.arange(m)
-    x = rng.normal(size=3)
-    full = losses.summed(loss, a, y, x, None)[0] / m
-    for method in ("ldp_svrg", "ldp_saga", "ldp_gd"):
-        run = make_run(method)
-        view = train.View(0, {method: [x]}, {method: 0}, {method})
-        g, w, _, _ = train.local_sums(loss, run, view, 0, seq, a, y)
-        assert train.client_step(run, view, 0, g, w, np.zeros(3), np.zeros(3))[1] == pytest.approx(full)
+@pytest.mark.parametrize("kind", ["sgd", "gd", "svrg", "saga"])
+def test_estimators_over_all_batches(kind):
+    """Unbiased, and the variance is below c1 * drift + c2 of the constants with G and L of this problem."""
+    loss, a, y, (w, other, x) = small_problem()
+    m, b = 5, 5 if kind == "gd" else 2
+    full = gradients_of(loss, a, y, x).mean(axis=0)
+    last = np.array([0, 1, 0, 1, 0])
+    points = {"snapshot": w, 0: w, 1: other}
+    memory = None
+    if kind == "saga":
+        memory = np.mean([gradients_of(loss, a, y, points[r])[j] for j, r in enumerate(last)], axis=0)
+    mean, var = estimators.check_unbiased(estimators.ESTIMATORS[kind], loss, a, y, x, b, points, last, memory)
+    assert mean == pytest.approx(full)
+    L = loss.smoothness((a * a).sum(axis=1).max())
+    # the bound holds for any G above the gradients met
+    G = max(np.sqrt((gradients_of(loss, a, y, z) ** 2).sum(axis=1).max()) for z in (w, other, x))
+    k = theory.constants(kind, G, L, m, b, b / m)
+    drift = {"svrg": ((x - w) ** 2).sum(), "saga": np.mean([((x - points[r]) ** 2).sum() for r in last])}.get(kind, 0.0)
+    assert var <= k.c1 * drift + k.c2 + 1e-12
+    assert (var > 1e-6) == (kind != "gd")
+
+
+def test_minibatch_variance_is_that_of_drawing_without_replacement():
+    """(m - b) / (b (m - 1)) times the samples' variance, exactly, over all batches."""
+    loss, a, y, (_, _, x) = small_problem()
+    g = gradients_of(loss, a, y, x)
+    _, var = estimators.check_unbiased(estimators.ESTIMATORS["sgd"], loss, a, y, x, 2, {})
+    spread = ((g - g.mean(axis=0)) ** 2).sum(axis=1).mean()
+    assert var == pytest.approx((5 - 2) / (2 * (5 - 1)) * spread)
+
+
+def test_reduced_estimators_are_exact_where_their_points_are_the_model():
+    loss, a, y, (_, _, x) = small_problem()
+    full = gradients_of(loss, a, y, x).mean(axis=0)
+    for kind in ("svrg", "saga"):
+        mean, var = estimators.check_unbiased(estimators.ESTIMATORS[kind], loss, a, y, x, 2, {"snapshot": x, 0: x})
+        assert mean == pytest.approx(full) and var == pytest.approx(0, abs=1e-20)
+
+
+def test_scalar_table_of_the_logistic_loss():
+    """With numbers instead of points the data part is SAGA's; without penalty the two storages agree."""
+    loss, a, y, (w, _, x) = small_problem()
+    loss = losses.LogisticNonconvex(0.0)
+    t = estimators.ScalarTable(loss, a, y, w)
+    points = np.tile(w, (5, 1))
+    for batch, z in ((np.array([0, 3]), x), (np.array([3, 4]), x * 0.5), (np.array([1, 3]), -x)):
+        g = lambda j, v: loss.gradients(a[j : j + 1], y[j : j + 1], v)[0]
+        want = sum(g(j, z) - g(j, points[j]) for j in batch) / 2 + sum(g(j, points[j]) for j in range(5)) / 5
+        assert t.estimate(z, batch) == pytest.approx(want)
+        points[batch] = z
+
+
+def test_a_new_estimator_needs_no_change_elsewhere(monkeypatch):
+    class Heavy(estimators.Estimator):
+        kind = "heavy"
+
+        def batch(self, m):
+            return m // 2
+
+        def constants(self, G, L, m, b, p):
+            return theory.Constants(G, 0.0, 0.0, (m - b) * G * G / (m * b), 0.0, 0.0, 1.0)
+
+    monkeypatch.setitem(estimators.ESTIMATORS, "heavy", Heavy())
+    monkeypatch.setitem(train.METHODS, "shifted_heavy", ("heavy", True, True))
+    run = train.Run("h", "shifted_heavy", 5, 0.1, 0.5, 40, 3, SPEC)
+    assert run.batch == 20 and run.sigma == pytest.approx(train.Run("s", "shifted_sgd", 5, 0.1, 0.5, 40, 3, SPEC, b=20).sigma)
+
+
+def test_step_potential_bound_rounds_and_accuracy_by_worked_values():
+    """n 4, m 100, d 10, omega 3, L 2, G 1, eps 1, delta e^-2 (log term 2), snapshot with b 10 and p 0.1, beta 0.5."""
+    spec = theory.PrivacySpec(1.0, math.exp(-2))
+    k = theory.constants("svrg", 1.0, 2.0, 100, 10, 0.1)
+    assert (k.ga, k.gb, k.c1, k.c2, k.c4) == (2.0, 1.0, 0.4, 0.0, 1.0)
+    assert k.c3_per_eta2 == pytest.approx(18) and k.theta == pytest.approx(0.05)
+    # alpha: 3 * 0.5 * 0.4 / (2 * 4 * 0.05 * 4)
+    assert theory.alpha(k, 0.5, 3.0, 2.0) == pytest.approx(0.375)
+    # first bound: 1 + 2 * .375 + 4 * .5 * 4 = 9.75, with 2 * .375 * 18 = 13.5: 1 / (23.25 * 2); second: sqrt(2) / (sqrt(9.75) * 4 * 2)
+    assert theory.max_step(k, 3.0, 4, 2.0, 0.5) == pytest.approx(min(1 / 46.5, math.sqrt(2) / (math.sqrt(9.75) * 8)))
+    phi = theory.potential(0.7, 0.375, 2.0, 0.2, 0.5, 1.2)
+    assert phi == pytest.approx(0.7 + 0.375 * 2 * 0.2 + 0.25 * 1.2) == pytest.approx(1.15)
+    # noise term: 2 (= 4/4 + 1) * 10 * 50 * 2 / 10^4 = 0.2
+    assert theory.bound_at(50, k, phi, 0.02, 0.5, 3.0, 2.0, 100, 10, spec) == pytest.approx(2 * 1.15 / (0.02 * 50) + 1.5 / (4 * 2 * 0.02) * 0.2)
+    # rounds: 100 * sqrt(2 * 4 * 2 * 1.15) / sqrt(3 * .5 * 40)
+    assert theory.rounds(k, phi, 0.5, 3.0, 2.0, 100, 10, spec) == pytest.approx(100 * math.sqrt(18.4) / math.sqrt(60))
+    assert theory.accuracy(k, 0.02, 0.5, 3.0, 2.0, 100, 10, spec) == pytest.approx(math.sqrt(0.5 * 40) / (0.02 * 100 * math.sqrt(8)))
+    sgd = theory.constants("sgd", 1.0, 2.0, 100, 10)
+    # c2 = 90 / 1000; the second term of each maximum
+    assert sgd.c2 == pytest.approx(0.09)
+    assert theory.rounds(sgd, 1e-9, 0.5, 3.0, 2.0, 100, 10, spec) == pytest.approx(0.09 * 10**4 / (0.25 * 20))
+    assert theory.accuracy(sgd, 0.02, 50.0, 3.0, 2.0, 100, 10, spec) == pytest.approx(max(math.sqrt(50 * 0.25 * 20) / (2 * math.sqrt(8)), 50 * 0.09 / (4 * 2 * 0.02)))
+
+
+def test_the_bound_is_least_near_the_stated_rounds():
+    """Where the first term of the maximum rules, the stated rounds balance the bound's two parts in T."""
+    k = theory.constants("svrg", 0.5, 1.0, 1000, 25, 0.025)
+    args = (0.001, 0.5, 3.0, 1.0, 1000, 123, SPEC)
+    T = theory.rounds(k, 1.0, 0.5, 3.0, 1.0, 1000, 123, SPEC)
+    at = [theory.bound_at(int(T * f), k, 1.0, *args) for f in (0.5, 1.0, 2.0)]
+    assert at[1] < at[0] and at[1] < at[2]
+
+
+def test_preset_probabilities():
+    """p and p^(2/3) b^(1/3) of the snapshot preset are at most a quarter."""
+    for m in (2, 8, 100, 4800, 10**6):
+        p = theory.preset("svrg", 10, m, 123, 1.0, 0.5, 19.5, SPEC)
+        assert p.p <= 0.5 and (m < 8 or (p.p <= 0.25 and p.p ** (2 / 3) * p.b ** (1 / 3) <= 0.25 + 1e-12))
 
 
 def test_private_runs_need_a_clip_bound():
