@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -245,7 +248,80 @@ def scalar_subquery(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def approx_clients(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Exact and sketched numbers of customers; the sketch is held to a tenth of the exact number."""
+    o = load(spark, sf_dir, "orders").groupBy("o_orderstatus").agg(F.countDistinct("o_custkey").alias("exact"), F.approx_count_distinct("o_custkey", 0.02).alias("near"))
+    return o.select("o_orderstatus", "exact", (F.abs(F.col("near") - F.col("exact")) <= 0.1 * F.col("exact")).alias("close"))
+
+
+def joint_moments(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Covariance and correlation of two features, and a sketched median held to the exact one."""
+    return load(spark, sf_dir, "lineitem").groupBy("l_returnflag").agg(
+        F.round(F.covar_pop("l_quantity", "l_discount"), 6).alias("cov"), F.round(F.corr("l_quantity", "l_extendedprice"), 6).alias("cor"),
+        (F.abs(F.percentile_approx("l_quantity", 0.5, 10_000) - F.percentile("l_quantity", 0.5)) <= 1).alias("median_close"),
+    )
+
+
+def rank_shares(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Quarters and relative ranks of a user's events by value."""
+    w = "partition by user_id order by value, event_id"
+    return load(spark, sf_dir, "events").select("event_id", F.expr(f"ntile(4) over ({w})").cast("long").alias("quarter"), F.round(F.expr(f"percent_rank() over ({w})"), 9).alias("share"))
+
+
+def frame_values(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The first value and the next one of a user, and the sum over the hour before, by time."""
+    e = load(spark, sf_dir, "events").withColumn("v", F.round(F.col("value") * 100).cast("long")).withColumn("s", F.unix_seconds(F.col("ts").cast("timestamp")))
+    w = "partition by user_id order by ts, event_id"
+    return e.select(
+        "event_id", F.expr(f"first_value(v) over ({w})").alias("first_v"), F.expr(f"lead(v) over ({w})").alias("next_v"),
+        F.expr("sum(v) over (partition by user_id order by s range between 3600 preceding and current row)").alias("hour_sum"),
+    )
+
+
+def top_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The ten dearest orders: a limit over an order, which each task answers with ten rows."""
+    return load(spark, sf_dir, "orders").orderBy(F.desc("o_totalprice"), "o_orderkey").limit(10).select("o_orderkey", F.round("o_totalprice", 2).alias("price"))
+
+
+def best_by_status(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The dearest order of each status, without sorting."""
+    by = F.struct("o_totalprice", -F.col("o_orderkey"))
+    return load(spark, sf_dir, "orders").groupBy("o_orderstatus").agg(F.max_by("o_orderkey", by).alias("o_orderkey"))
+
+
+def trace_unpivot(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The pivoted counts back in long form."""
+    return trace_pivot(spark, sf_dir).unpivot("hour", ["click", "error", "purchase", "view"], "event_type", "n").filter("n > 0")
+
+
+def json_structs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Properties read as a struct, and a struct of two fields written as JSON."""
+    e = load(spark, sf_dir, "events").select("event_id", F.from_json("props", "k bigint").alias("p"))
+    return e.select("event_id", F.to_json(F.struct(F.col("p.k").alias("k"), (F.col("p.k") % 3).alias("r"))).alias("j"))
+
+
+def arrow_scale(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A scalar function over Arrow arrays: clip factors of quantities at half of the largest."""
+
+    @F.arrow_udf("double")
+    def scale(v: pa.Array) -> pa.Array:
+        return pa.array(np.minimum(1.0, 25.0 / v.to_numpy(zero_copy_only=False)))
+
+    return load(spark, sf_dir, "lineitem").groupBy("l_linenumber").agg(F.sum(F.round(scale("l_quantity") * 1_000_000).cast("long")).alias("micro"))
+
+
+def arrow_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A grouped function over Arrow tables: a nation's customers, with the largest balance.  Nations bound a group's number, not its size;
+    `best_by_status` is the form for large groups."""
+
+    def largest(t: pa.Table) -> pa.Table:
+        return pa.table({"c_nationkey": t.column("c_nationkey")[:1], "n": [t.num_rows], "top": [pc.max(t.column("c_acctbal")).as_py()]})
+
+    return load(spark, sf_dir, "customer").select("c_nationkey", "c_acctbal").groupBy("c_nationkey").applyInArrow(largest, "c_nationkey int, n bigint, top double")
+
+
 NAMES = [
+    approx_clients, joint_moments, rank_shares, frame_values, top_orders, best_by_status, trace_unpivot, json_structs, arrow_scale, arrow_groups,
     scan_samples, features_onehot, features_scaled, split_train_test, assign_clients_hash, assign_clients_natural, join_star_features, labelled_docs,
     unlabelled_docs, labelled_semi, outer_suppliers, predict_grid, events_in_round, asof_model, cost_rollup, cost_cube, cost_grouping_sets, best_stepsize,
     trace_running, trace_pivot, hashed_tokens, time_features, json_features, page_tokens, conversation_features, window_tumbling, window_sliding,
@@ -257,6 +333,18 @@ _U = "(CAST('0x' || substr(md5(concat_ws('|', {})), 1, 13) AS BIGINT) / 45035996
 _SPLIT, _CLIENT = _U.format("'split', doc_id"), _U.format("'client', doc_id")
 
 SQL = {
+    "approx_clients": "SELECT o_orderstatus, count(DISTINCT o_custkey) AS exact, true AS close FROM orders GROUP BY 1",
+    "joint_moments": "SELECT l_returnflag, round(covar_pop(l_quantity, l_discount), 6) AS cov, round(corr(l_quantity, l_extendedprice), 6) AS cor, true AS median_close FROM lineitem GROUP BY 1",
+    "rank_shares": "SELECT event_id, ntile(4) OVER w AS quarter, round(percent_rank() OVER w, 9) AS share FROM events WINDOW w AS (PARTITION BY user_id ORDER BY value, event_id)",
+    "frame_values": """WITH e AS (SELECT *, CAST(round(value * 100) AS BIGINT) AS v, CAST(floor(epoch(ts)) AS BIGINT) AS s FROM events)
+      SELECT event_id, first_value(v) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS first_v, lead(v) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS next_v,
+      CAST(sum(v) OVER (PARTITION BY user_id ORDER BY s RANGE BETWEEN 3600 PRECEDING AND CURRENT ROW) AS BIGINT) AS hour_sum FROM e""",
+    "top_orders": "SELECT o_orderkey, round(o_totalprice, 2) AS price FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 10",
+    "best_by_status": "SELECT o_orderstatus, o_orderkey FROM (SELECT *, row_number() OVER (PARTITION BY o_orderstatus ORDER BY o_totalprice DESC, o_orderkey) AS r FROM orders) WHERE r = 1",
+    "trace_unpivot": "SELECT hour(ts) AS hour, event_type, count(*) AS n FROM events WHERE event_type IN ('click', 'error', 'purchase', 'view') GROUP BY 1, 2",
+    "json_structs": """WITH e AS (SELECT event_id, CAST(regexp_extract(props, '"k": *([0-9]+)', 1) AS BIGINT) AS k FROM events) SELECT event_id, '{"k":' || k || ',"r":' || (k % 3) || '}' AS j FROM e""",
+    "arrow_scale": "SELECT l_linenumber, CAST(sum(CAST(round(least(1.0, 25.0 / l_quantity) * 1000000) AS BIGINT)) AS BIGINT) AS micro FROM lineitem GROUP BY 1",
+    "arrow_groups": "SELECT c_nationkey, count(*) AS n, max(c_acctbal) AS top FROM customer GROUP BY 1",
     "scan_samples": "SELECT l_returnflag, count(*) AS n, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS qty FROM lineitem WHERE l_quantity >= 25 AND l_returnflag IN ('R', 'A') GROUP BY 1",
     "features_onehot": """SELECT CAST(CASE WHEN l_quantity >= 50 THEN 11 ELSE floor(l_quantity / 5.0) + 1 END AS INTEGER) AS qty_bucket,
       count(*) FILTER (l_returnflag = 'A') AS flag_a, count(*) FILTER (l_returnflag = 'N') AS flag_n, count(*) FILTER (l_returnflag = 'R') AS flag_r,

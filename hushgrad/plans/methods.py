@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+from decimal import ROUND_HALF_UP, Decimal
+from functools import reduce
+
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -141,6 +145,59 @@ def drift_saga(spark: SparkSession, sf_dir: str) -> DataFrame:
     return held.agg(F.round(F.sum(F.col("c") * F.element_at(dist, F.col("last_round") + 1)) / F.sum("c"), 6).alias("drift"))
 
 
+def drift_svrg(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Squared distance of the model of each of three rounds to the snapshot of that round."""
+    seen = nt.advance_reduced(spark, sf_dir, 3, "svrg", True)[2]
+    rows = None
+    for t in range(3):
+        w = seen[nt.moving_snapshot(t, 0.5)].x.withColumnRenamed("x", "w")
+        one = seen[t].x.crossJoin(w).select(F.lit(t).alias("round"), F.round(reduce(lambda s, i: s + (F.col("x")[i] - F.col("w")[i]) * (F.col("x")[i] - F.col("w")[i]), range(D), F.lit(0.0)), 9).alias("drift"))
+        rows = one if rows is None else rows.unionByName(one)
+    return rows
+
+
+def shifted_svrg_round(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Models of three shifted rounds whose estimates are snapshot-reduced; the snapshot moves by a shared coin."""
+    return nt.models(nt.advance_reduced(spark, sf_dir, 3, "svrg", True)[2])
+
+
+def shifted_saga_round(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Models of three shifted rounds whose estimates use a table of past points."""
+    return nt.models(nt.advance_reduced(spark, sf_dir, 3, "saga", True)[2])
+
+
+def ldp_svrg_round(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Models of two uncompressed, unshifted rounds with snapshot-reduced estimates."""
+    return nt.models(nt.advance_reduced(spark, sf_dir, 2, "svrg", False, False)[2])
+
+
+def max_row_norm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The largest squared norm of a sample's features and the smoothness that follows from it."""
+    sq = nt.samples(spark, sf_dir).agg(F.max(nt.dot(F.col("f"), F.col("f"))).alias("v"))
+    return sq.select(F.round("v", 9).alias("max_sq_norm"), F.round(F.col("v") / 4 + 2 * S.lam, 9).alias("smoothness"))
+
+
+def half_up(v: float) -> float:
+    """v to nine digits as SQL rounds it: halves away from zero, of the shortest decimal form."""
+    return float(Decimal(repr(v)).quantize(Decimal("1e-9"), ROUND_HALF_UP))
+
+
+def shift_cogroup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The references after three rounds, the last moved by meeting its messages client by client."""
+    _, s, _ = nt.advance(spark, sf_dir, 2, True)
+    messages, _ = nt.round_step(nt.samples(spark, sf_dir), s, 2, True)
+
+    def meet(old, new):  # noqa: ANN001, ANN202
+        have = dict(zip(old.column("coord").to_pylist(), old.column("shift").to_pylist(), strict=True))
+        client = (old if old.num_rows else new).column("client_id")[0].as_py()
+        for i, v in zip(new.column("coord").to_pylist(), new.column("value").to_pylist(), strict=True):
+            have[i] = half_up(have.get(i, 0.0) + half_up(S.gamma * v))
+        keys = sorted(have)
+        return pa.table({"client_id": pa.array([client] * len(keys), pa.int32()), "coord": pa.array(keys, pa.int32()), "shift": pa.array([have[k] for k in keys], pa.float64())})
+
+    return s.shifts.groupBy("client_id").cogroup(messages.groupBy("client_id")).applyInArrow(meet, "client_id int, coord int, shift double")
+
+
 def compressor_error(spark: SparkSession, sf_dir: str) -> DataFrame:
     v = spark.range(500).select(F.col("id").cast("int").alias("client_id"), F.posexplode(nt.vector([1, 2, 3, 4, 5, 6])).alias("coord", "value"))
     kept = nt.random_k(v, 0).withColumnRenamed("value", "sent")
@@ -195,7 +252,7 @@ QUERIES = {
     for f in (
         loss_at_point, full_gradient, clipped_gradient, minibatch_pick, noise_draws, randk_message, randk_pick, quantized_message, direct_round,
         ldp_sgd_round, shifted_round, two_round_direct, three_round_shifted, shift_update, shift_mismatch, server_mean, comm_bits, active_clients,
-        svrg_estimate, svrg_refresh, saga_refresh, saga_estimate, drift_saga, compressor_error, dot_products, clip_vectors, logistic_grad,
+        svrg_estimate, svrg_refresh, saga_refresh, saga_estimate, drift_saga, drift_svrg, shifted_svrg_round, shifted_saga_round, ldp_svrg_round, max_row_norm, shift_cogroup, compressor_error, dot_products, clip_vectors, logistic_grad,
         batch_overlap, vector_long, topk_shift_coords, grad_norm_profile,
     )
 }

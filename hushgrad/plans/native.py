@@ -62,7 +62,8 @@ def model(spark: SparkSession, values: list[float], name: str = "x") -> DataFram
 
 
 def dot(a: Column, b: Column) -> Column:
-    return F.aggregate(F.zip_with(a, b, lambda u, v: u * v), F.lit(0.0), lambda s, v: s + v)
+    """Written out over the D entries, which keeps it in generated code (higher-order functions are not)."""
+    return reduce(lambda s, i: s + a[i] * b[i], range(D), F.lit(0.0))
 
 
 def penalty_slope(v: Column, lam: float) -> Column:
@@ -70,19 +71,20 @@ def penalty_slope(v: Column, lam: float) -> Column:
 
 
 def gradient(f: Column, y: Column, x: Column, lam: float = S.lam) -> Column:
+    """Written out as well: the weight is one subexpression, worked out once for a row."""
     w = -y / (F.lit(1.0) + F.exp(y * dot(f, x)))
-    return F.zip_with(f, x, lambda u, v: w * u + penalty_slope(v, lam))
+    return F.array(*[w * f[i] + penalty_slope(x[i], lam) for i in range(D)])
 
 
 def norm(g: Column) -> Column:
-    return F.sqrt(F.aggregate(g, F.lit(0.0), lambda s, v: s + v * v))
+    return F.sqrt(reduce(lambda s, i: s + g[i] * g[i], range(D), F.lit(0.0)))
 
 
 def clipped(df: DataFrame, column: str, bound: float) -> DataFrame:
     """df with its vector column scaled to a norm of at most bound; a zero vector stays."""
-    n = F.col("_norm")
-    scale = F.when(n > bound, F.lit(bound) / n).otherwise(F.lit(1.0))
-    return df.withColumn("_norm", norm(F.col(column))).withColumn("_scale", scale).withColumn(column, F.transform(column, lambda v: v * F.col("_scale"))).drop("_norm", "_scale")
+    n, g = F.col("_norm"), F.col(column)
+    df = df.withColumn("_norm", norm(g)).withColumn("_scale", F.when(n > bound, F.lit(bound) / n).otherwise(F.lit(1.0)))
+    return df.withColumn(column, F.array(*[g[i] * F.col("_scale") for i in range(D)])).drop("_norm", "_scale")
 
 
 def units(c: Column) -> Column:
@@ -96,9 +98,8 @@ def exact_sum(c: Column) -> Column:
 def ranked(df: DataFrame, t: int, b: int = S.b) -> DataFrame:
     """The batch of round t: for each client the b samples with the smallest digests.
 
-    Samples whose digest is far above b/m can't be among them; at scale a filter
-    on the digest goes before the rank.
-    """
+    The rank is filtered where it is made, so Spark keeps b rows of each task and
+    client before the shuffle."""
     draw = digest.uniform("batch", S.seed, t, F.col("client_id"), F.col("sample_id"))
     return (
         df.withColumn("_u", draw)
@@ -109,9 +110,13 @@ def ranked(df: DataFrame, t: int, b: int = S.b) -> DataFrame:
 
 
 def client_sums(df: DataFrame, column: str, per: int) -> DataFrame:
-    """(client_id, coord, value): sums of a vector column over a client's rows, over `per`."""
-    long = df.select("client_id", F.posexplode(column).alias("coord", "v"))
-    return long.groupBy("client_id", "coord").agg((exact_sum(F.col("v")) / F.lit(float(per))).alias("value"))
+    """(client_id, coord, value): sums of a vector column over a client's rows, over `per`.
+
+    The entries are added up as D aggregates of one row for each client, which only then become rows."""
+    g = F.col(column)
+    sums = df.groupBy("client_id").agg(*[F.sum(units(g[i])).alias(f"_{i}") for i in range(D)])
+    long = sums.select("client_id", F.posexplode(F.array(*[f"_{i}" for i in range(D)])).alias("coord", "v"))
+    return long.select("client_id", "coord", (F.col("v").cast("double") / F.lit(float(UNIT)) / F.lit(float(per))).alias("value"))
 
 
 def perturbed(sums: DataFrame, t: int, sigma: float = S.sigma) -> DataFrame:
@@ -160,11 +165,15 @@ def _gather(rows: DataFrame, name: str) -> DataFrame:
     return rows.agg(F.transform(ordered, lambda z: z["v"]).alias(name))
 
 
-def round_step(data: DataFrame, s: State, t: int, shifted: bool, squeeze: bool = True) -> tuple[DataFrame, State]:
-    """One round: (messages, next state)."""
-    batch = ranked(data, t).crossJoin(F.broadcast(s.x))  # one row
-    g = clipped(batch.withColumn("g", gradient(F.col("f"), F.col("y"), F.col("x"))), "g", S.clip)
-    noisy = perturbed(client_sums(g, "g", S.b), t)
+def batch_gradient(data: DataFrame, t: int, x: DataFrame) -> DataFrame:
+    """(client_id, coord, value): the batch's mean clipped gradient at the model."""
+    batch = ranked(data, t).crossJoin(F.broadcast(x))  # one row
+    return client_sums(clipped(batch.withColumn("g", gradient(F.col("f"), F.col("y"), F.col("x"))), "g", S.clip), "g", S.b)
+
+
+def round_step(data: DataFrame, s: State, t: int, shifted: bool, squeeze: bool = True, estimate=batch_gradient) -> tuple[DataFrame, State]:  # noqa: ANN001
+    """One round: (messages, next state).  estimate(data, t, x) gives the clients' estimates."""
+    noisy = perturbed(estimate(data, t, s.x), t)
     if shifted and s.shifts is not None:
         noisy = noisy.join(s.shifts, ["client_id", "coord"], "left").withColumn("value", F.round(F.col("value") - F.coalesce("shift", F.lit(0.0)), 9)).drop("shift")
     messages = random_k(noisy, t) if squeeze else noisy
@@ -203,14 +212,28 @@ def models(states: list[State]) -> DataFrame:
     return reduce(DataFrame.unionByName, rows).select("round", "coord", "value")
 
 
+def pair_estimate(data: DataFrame, t: int, x: Column, w: Column, held: DataFrame | None = None) -> DataFrame:
+    """(client_id, coord, value): the batch's mean difference of clipped gradients at x and w, plus the mean one at w
+    over all of a client's samples.  data may carry x and w as columns; batches are picked before gradients are made."""
+    every = data if held is None else held
+    batch = ranked(every, t)
+    batch = batch.withColumn("gx", gradient(F.col("f"), F.col("y"), x)).withColumn("gw", gradient(F.col("f"), F.col("y"), w))
+    batch = clipped(clipped(batch, "gx", S.clip), "gw", S.clip)
+    g = F.array(*[F.col("gx")[i] - F.col("gw")[i] for i in range(D)])
+    diff = client_sums(batch.withColumn("g", g), "g", S.b)
+    rows = clipped(every.withColumn("gw", gradient(F.col("f"), F.col("y"), w)), "gw", S.clip)
+    m = every.groupBy("client_id").agg(F.count(F.lit(1)).alias("m"))
+    full = client_sums(rows, "gw", 1).join(F.broadcast(m), "client_id").select("client_id", "coord", (F.col("value") / F.col("m")).alias("full"))
+    return diff.join(full, ["client_id", "coord"]).select("client_id", "coord", (F.col("value") + F.col("full")).alias("value"))
+
+
+def _rounded(rows: DataFrame, digits: int) -> DataFrame:
+    return rows.withColumn("value", F.round("value", digits))
+
+
 def estimate_svrg(data: DataFrame, t: int, x: list[float], w: list[float]) -> DataFrame:
     """Batch difference to the snapshot plus the snapshot's full gradient."""
-    m = data.groupBy("client_id").agg(F.count(F.lit(1)).alias("m"))
-    rows = data.withColumn("gx", gradient(F.col("f"), F.col("y"), vector(x))).withColumn("gw", gradient(F.col("f"), F.col("y"), vector(w)))
-    rows = clipped(clipped(rows, "gx", S.clip), "gw", S.clip)
-    diff = client_sums(ranked(rows, t).withColumn("g", F.zip_with("gx", "gw", lambda a, b: a - b)), "g", S.b)
-    full = client_sums(rows, "gw", 1).join(F.broadcast(m), "client_id").select("client_id", "coord", (F.col("value") / F.col("m")).alias("full"))
-    return diff.join(full, ["client_id", "coord"]).select("client_id", "coord", F.round(F.col("value") + F.col("full"), 6).alias("value"))
+    return _rounded(pair_estimate(data, t, vector(x), vector(w)), 6)
 
 
 def estimate_saga(data: DataFrame, t: int, x: list[float], past: list[list[float]]) -> DataFrame:
@@ -218,22 +241,46 @@ def estimate_saga(data: DataFrame, t: int, x: list[float], past: list[list[float
 
     The past point of a sample is its last batch among rounds before t, else the first model.
     """
-    table = saga_table(data, t)
-    m = data.groupBy("client_id").agg(F.count(F.lit(1)).alias("m"))
     points = F.array(*[vector(p) for p in past])
-    rows = table.withColumn("w", F.element_at(points, F.col("last_round") + 1))
-    rows = rows.withColumn("gx", gradient(F.col("f"), F.col("y"), vector(x))).withColumn("gw", gradient(F.col("f"), F.col("y"), F.col("w")))
-    rows = clipped(clipped(rows, "gx", S.clip), "gw", S.clip)
-    diff = client_sums(ranked(rows, t).withColumn("g", F.zip_with("gx", "gw", lambda a, b: a - b)), "g", S.b)
-    full = client_sums(rows, "gw", 1).join(F.broadcast(m), "client_id").select("client_id", "coord", (F.col("value") / F.col("m")).alias("full"))
-    return diff.join(full, ["client_id", "coord"]).select("client_id", "coord", F.round(F.col("value") + F.col("full"), 6).alias("value"))
+    held = saga_table(data, t).withColumn("w", F.element_at(points, F.col("last_round") + 1))
+    return _rounded(pair_estimate(data, t, vector(x), F.col("w"), held), 6)
 
 
 def saga_table(data: DataFrame, t: int) -> DataFrame:
     """data with last_round: the last of rounds 1..t-1 whose batch held the sample, else 0."""
     out = data.withColumn("last_round", F.lit(0))
+    slim = data.select("client_id", "sample_id")
     for u in range(1, t):
-        drawn = ranked(data, u).select(F.col("sample_id").alias("_s"), F.col("client_id").alias("_c"))
+        # b rows for each client
+        drawn = F.broadcast(ranked(slim, u).select(F.col("sample_id").alias("_s"), F.col("client_id").alias("_c")))
         out = out.join(drawn, (F.col("sample_id") == F.col("_s")) & (F.col("client_id") == F.col("_c")), "left")
         out = out.withColumn("last_round", F.when(F.col("_s").isNotNull(), F.lit(u)).otherwise(F.col("last_round"))).drop("_s", "_c")
     return out
+
+
+def moving_snapshot(t: int, p: float) -> int:
+    """The round whose model the snapshot of round t holds: the last before t whose coin fell, else 0 (the first model)."""
+    return max((u for u in range(t) if digest.uniform_value("coin", S.seed, u) < p), default=0)
+
+
+def advance_reduced(spark: SparkSession, sf_dir: str, rounds: int, kind: str, shifted: bool, squeeze: bool = True, p: float = 0.5) -> tuple[DataFrame, State, list[State]]:
+    """`rounds` rounds with the svrg or saga estimator, at the models that the run itself visits."""
+    data = samples(spark, sf_dir)
+    s, seen, messages = start(spark), [], None
+    for t in range(rounds):
+        seen.append(s)
+
+        def estimate(data: DataFrame, t: int, x: DataFrame) -> DataFrame:
+            if kind == "svrg":
+                w = seen[moving_snapshot(t, p)].x.withColumnRenamed("x", "w")
+                rows = data.crossJoin(F.broadcast(x)).crossJoin(F.broadcast(w))  # one row each
+                return pair_estimate(rows, t, F.col("x"), F.col("w"))
+            # models visited before, one row each, in an array by round
+            rows = saga_table(data, max(t, 1)).crossJoin(F.broadcast(x))
+            for u in range(max(t, 1)):
+                rows = rows.crossJoin(F.broadcast(seen[u].x.withColumnRenamed("x", f"x{u}")))
+            w = F.element_at(F.array(*[f"x{u}" for u in range(max(t, 1))]), F.col("last_round") + 1)
+            return pair_estimate(rows.withColumn("w", w), t, F.col("x"), F.col("w"))
+
+        messages, s = round_step(data, s, t, shifted, squeeze, estimate)
+    return messages, s, [*seen, s]

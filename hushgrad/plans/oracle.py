@@ -136,7 +136,61 @@ fullg AS (SELECT client_id, coord, {total('v')} / m AS full_value FROM {spread('
 SELECT client_id, coord, round(value + full_value, 6) AS value FROM diff JOIN fullg USING (client_id, coord)"""
 
 
+def snapshot_of(t: int) -> int:
+    """The coins of `svrg_refresh` with probability 0.5: the last round before t that moved the snapshot, else 0."""
+    import hashlib
+
+    coin = lambda r: int(hashlib.md5(f"coin|{S.seed}|{r}".encode()).hexdigest()[:13], 16) / 4503599627370496
+    moved = [r for r in range(t) if coin(r) < 0.5]
+    return moved[-1] if moved else 0
+
+
+def reduced(count: int, kind: str, shifted: bool, squeeze: bool) -> str:
+    """WITH list of `count` rounds whose estimate is a batch difference plus a full gradient, at the models visited."""
+    out = [SAMPLES, f"x0 AS (SELECT {vec(START)} AS x)", f"ref0 AS (SELECT {vec([0.0] * D)} AS ref)", last_round(max(1, count - 1)), "m AS (SELECT client_id, count(*) AS m FROM samples GROUP BY 1)"]
+    for t in range(count):
+        if kind == "svrg":
+            source = f"(SELECT s.*, a.x AS x, b.x AS w FROM samples s CROSS JOIN x{t} a CROSS JOIN x{snapshot_of(t)} b)"
+        else:
+            had = max(t, 1)
+            cases = " ".join(f"WHEN {r} THEN p{r}.x" for r in range(had))
+            source = f"(SELECT s.* EXCLUDE (last_round), a.x AS x, CASE last_round {cases} END AS w FROM tab{had} s CROSS JOIN x{t} a " + " ".join(f"CROSS JOIN x{r} p{r}" for r in range(had)) + ")"
+        out.append(f"pr{t} AS (SELECT *, {grad('x')} AS g1, {grad('w')} AS g2 FROM {source})")
+        out.append(f"cu{t} AS (SELECT client_id, sample_id, {clip('g1', 'n1')} AS gx, {clip('g2', 'n2')} AS gw FROM (SELECT *, {norm('g1')} AS n1, {norm('g2')} AS n2 FROM pr{t}))")
+        minus = ", ".join(f"gx[{i}] - gw[{i}]" for i in range(1, D + 1))
+        out.append(f"di{t} AS (SELECT client_id, coord, {total('v')} / {float(S.b)!r} AS value FROM (SELECT client_id, unnest(range({D}))::INTEGER AS coord, unnest([{minus}]) AS v FROM {batch(t, f'cu{t}')}) GROUP BY ALL)")
+        out.append(f"fu{t} AS (SELECT client_id, coord, {total('v')} / 1.0 / m AS full_value FROM {spread(f'cu{t}', 'gw')} JOIN m USING (client_id) GROUP BY client_id, coord, m)")
+        out.append(f"n{t} AS (SELECT client_id, coord, round(value + full_value + {S.sigma!r} * {noise(t)}, 9) AS value FROM di{t} JOIN fu{t} USING (client_id, coord))")
+        sent = f"n{t}"
+        if shifted and t:
+            out.append(f"z{t} AS (SELECT n.client_id, n.coord, round(n.value - coalesce(s.shift, 0.0), 9) AS value FROM n{t} n LEFT JOIN s{t} s ON n.client_id = s.client_id AND n.coord = s.coord)")
+            sent = f"z{t}"
+        out.append(f"msg{t} AS (SELECT * FROM {masked(sent, t) if squeeze else sent})")
+        out.append(f"mean{t} AS (SELECT coord, {total('value')} / {float(N)!r} AS mean FROM msg{t} GROUP BY coord)")
+        base = f"(SELECT r.coord, x[r.coord + 1] AS xv, ref[r.coord + 1] AS rv, coalesce(mean, 0.0) AS mean FROM (SELECT unnest(range({D}))::INTEGER AS coord) r CROSS JOIN x{t} CROSS JOIN ref{t} LEFT JOIN mean{t} USING (coord))"
+        out.append(f"x{t + 1} AS (SELECT list(round(xv - {S.eta!r} * (rv + mean), 9) ORDER BY coord) AS x FROM {base})")
+        if shifted:
+            out.append(f"ref{t + 1} AS (SELECT list(round(rv + {S.gamma!r} * mean, 9) ORDER BY coord) AS ref FROM {base})")
+            new = f"SELECT client_id, coord, round({S.gamma!r} * value, 9) AS shift FROM msg{t}"
+            if t:
+                new = f"SELECT client_id, coord, round({total('shift')}, 9) AS shift FROM (SELECT * FROM s{t} UNION ALL {new}) GROUP BY ALL"
+            out.append(f"s{t + 1} AS ({new})")
+        else:
+            out.append(f"ref{t + 1} AS (SELECT ref FROM ref{t})")
+    return "WITH " + ",\n".join(out)
+
+
+def distance(a: str, b: str) -> str:
+    return "(0.0::DOUBLE" + "".join(f" + ({a}[{i}] - {b}[{i}]) * ({a}[{i}] - {b}[{i}])" for i in range(1, D + 1)) + ")"
+
+
 SQL: dict[str, str] = {
+    "shifted_svrg_round": reduced(3, "svrg", True, True) + " " + visited(3),
+    "shifted_saga_round": reduced(3, "saga", True, True) + " " + visited(3),
+    "ldp_svrg_round": reduced(2, "svrg", False, False) + " " + visited(2),
+    "drift_svrg": reduced(3, "svrg", True, True) + " " + " UNION ALL ".join(f"SELECT {t} AS round, round({distance('a.x', 'b.x')}, 9) AS drift FROM x{t} a, x{snapshot_of(t)} b" for t in range(3)),
+    "max_row_norm": f"WITH {SAMPLES}, v AS (SELECT max({dot('f', 'f')}) AS v FROM samples) SELECT round(v, 9) AS max_sq_norm, round(v / 4 + {2 * S.lam!r}, 9) AS smoothness FROM v",
+    "shift_cogroup": rounds(3, True) + " SELECT client_id, coord, shift FROM s3",
     "loss_at_point": f"""WITH {SAMPLES},
   each AS (SELECT client_id, ln(1.0 + exp(-y * {dot('f', vec(START))})) AS l FROM samples),
   per AS (SELECT client_id, {total('l')} / count(*) AS l FROM each GROUP BY 1)

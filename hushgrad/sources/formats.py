@@ -80,10 +80,27 @@ def sink_trace(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(path).groupBy("run").agg(F.count(F.lit(1)).alias("n"), F.sum("o_orderkey").alias("keys"))
 
 
-QUERIES = {f.__name__: f for f in (*(_through(k) for k in ("csv", "json", "orc", "parquet")), roundtrip_sparse, sink_trace)}
+def bucketed(df: DataFrame, name: str, key: str, buckets: int = 8) -> str:
+    """df as a table bucketed and sorted by key, in a folder of its own; tables bucketed alike join without a shuffle."""
+    path = _fresh(df.sparkSession, name)
+    table = f"{name}_{path[-32:]}"
+    df.write.bucketBy(buckets, key).sortBy(key).option("path", path).format("parquet").saveAsTable(table)
+    return table
+
+
+def bucketed_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Lines and orders bucketed by order, joined bucket by bucket (merge hint: neither side is to be broadcast)."""
+    li = bucketed(load(spark, sf_dir, "lineitem").select("l_orderkey", "l_quantity"), "hg_lines", "l_orderkey")
+    o = bucketed(load(spark, sf_dir, "orders").select("o_orderkey", "o_orderstatus"), "hg_orders", "o_orderkey")
+    j = spark.table(li).join(spark.table(o).hint("merge"), F.col("l_orderkey") == F.col("o_orderkey"))
+    return j.groupBy("o_orderstatus").agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("l_quantity").cast("long")).alias("qty"))
+
+
+QUERIES = {f.__name__: f for f in (bucketed_join, *(_through(k) for k in ("csv", "json", "orc", "parquet")), roundtrip_sparse, sink_trace)}
 _SUMMARY = "SELECT l_returnflag, count(*) AS n, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS qty, CAST(sum(l_orderkey) AS BIGINT) AS keys FROM lineitem GROUP BY 1"
 SQL = {f"roundtrip_{k}": _SUMMARY for k in ("csv", "json", "orc", "parquet")} | {
     "roundtrip_sparse": """SELECT (CASE WHEN l_returnflag = 'R' THEN 1.0 ELSE -1.0 END)::DOUBLE AS label, count(*) AS n, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS qty,
       CAST(sum(l_linenumber) AS BIGINT) AS lines FROM lineitem GROUP BY 1""",
+    "bucketed_join": "SELECT o_orderstatus, count(*) AS n, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS qty FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1",
     "sink_trace": "SELECT o_orderstatus AS run, count(*) AS n, CAST(sum(o_orderkey) AS BIGINT) AS keys FROM orders GROUP BY 1",
 }
