@@ -191,8 +191,8 @@ def fingerprint_with_edit(docs: DataFrame, params: Params = Params(), id_col: st
 def near_duplicates(docs: DataFrame, percent: int = 80, params: Params = Params(), bands: int = 32, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Components of texts whose 5-word shingle sets have a Jaccard index of percent/100 or more.
 
-    Bands of the full minima propose pairs, joined in Spark, and the full sets
-    verify them; columns and edge cases are those of `near_dedup.components`,
+    Words enter in lower case (A-Z).  Bands of the full minima propose pairs,
+    joined in Spark, and the full sets verify them; columns and edge cases are those of `near_dedup.components`,
     which also keeps large groups from being paired in full.
     """
     rows = params.permutations // bands

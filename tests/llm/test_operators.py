@@ -292,8 +292,8 @@ def test_fingerprints(docs, rows, empty):
 
 
 def test_fingerprint_joins(docs, rows):
-    low = [(i, (t or "").lower()) for i, t in rows]
-    want = group(low, 80)
+    """Sets are of words in lower case (A-Z), as near_dedup takes them."""
+    want = group(rows, 80)
     out = by_id(fingerprints.near_duplicates(docs))
     assert {i: r["component_id"] for i, r in out.items()} == {i: c for i, (_, c) in want.items()}
 
@@ -401,6 +401,56 @@ def test_classifier_held_out_accuracy(spark):
     assert right > majority + 0.05
 
 
+def test_follow_the_leader_by_a_plain_loop():
+    """The published per-coordinate update, one coordinate after the other."""
+    import math
+
+    p = quality_classifier.Params(bits=4, epochs=2, alpha=0.3, beta=0.7, l1=0.05, l2=0.2)
+    rng = np.random.default_rng(9)
+    rows = []
+    for _ in range(30):
+        f = np.sort(rng.choice(16, int(rng.integers(1, 6)), replace=False))
+        rows.append((f.astype(np.int32), rng.random(len(f)).astype(np.float32), int(rng.integers(0, 2))))
+    z, n = [0.0] * 17, [0.0] * 17
+
+    def weight(i):
+        if abs(z[i]) <= p.l1:
+            return 0.0
+        return -(z[i] - math.copysign(p.l1, z[i])) / ((p.beta + math.sqrt(n[i])) / p.alpha + p.l2)
+
+    order = np.random.default_rng(p.seed)
+    for _ in range(p.epochs):
+        for k in order.permutation(len(rows)):
+            f, v, y = rows[k]
+            x = [*zip(f.tolist(), map(float, v), strict=True), (16, 1.0)]
+            w = {i: weight(i) for i, _ in x}
+            prob = 1 / (1 + math.exp(-sum(w[i] * c for i, c in x)))
+            for i, c in x:
+                g = (prob - y) * c
+                step = (math.sqrt(n[i] + g * g) - math.sqrt(n[i])) / p.alpha
+                z[i] += g - step * w[i]
+                n[i] += g * g
+    model = quality_classifier.follow_the_leader(rows, p)
+    assert model.weights == pytest.approx([weight(i) for i in range(16)], rel=1e-5, abs=1e-7) and model.bias == pytest.approx(weight(16))
+    assert any(model.weights) and not all(model.weights)
+
+
+def test_scores_are_sparse_dot_products(docs, rows):
+    """The score of each text from its n-grams, counted in a dictionary."""
+    import math
+
+    p = quality_classifier.Params(bits=10)
+    rng = np.random.default_rng(2)
+    model = quality_classifier.Model(rng.normal(size=1 << p.bits).astype(np.float32), 0.25, p.bits)
+    got = by_id(quality_classifier.score(docs, model, p))
+    for i, t in rows:
+        s = words.scan(np.frombuffer((t or "").encode(), dtype=np.uint8), np.array([0, len((t or "").encode())]))
+        f, _ = quality_classifier.grams(s, p.bits)
+        count = collections.Counter(f.tolist())
+        dot = sum(model.weights[k] * math.sqrt(c / len(f)) for k, c in count.items())
+        assert got[i]["score"] == pytest.approx(1 / (1 + math.exp(-(dot + 0.25))), abs=1e-5)
+
+
 def test_classifier_edges(docs, empty, spark):
     none = spark.createDataFrame([], "doc_id long, quality int")
     model = quality_classifier.train(docs, none)
