@@ -74,7 +74,7 @@ def tab_logistic(spark: SparkSession, sf_dir: str, natural: bool = False, client
         F.col("l_suppkey").alias("owner"),
         F.least(F.floor(F.col("l_quantity") / 5), F.lit(9)).alias("q"), F.round(F.col("l_discount") * 100).alias("d"), F.round(F.col("l_tax") * 100).alias("t"),
         F.least(F.floor(F.col("l_extendedprice") / 10500), F.lit(9)).alias("e"), (F.col("l_linenumber") - 1).alias("ln"), F.month("l_shipdate").alias("mo"),
-        (F.year("l_shipdate") - 1992).alias("yr"), F.least(F.floor(F.col("p_size") / 5), F.lit(9)).alias("sz"), F.col("c_nationkey").alias("na"),
+        (F.year("l_shipdate") - 1995).alias("yr"), F.least(F.floor(F.col("p_size") / 5), F.lit(9)).alias("sz"), F.col("c_nationkey").alias("na"),
         F.ascii(F.substring("o_orderpriority", 1, 1)).alias("pr"), code("l_returnflag", "ANR").alias("rf"), code("l_linestatus", "FO").alias("ls"), code("c_mktsegment", SEGMENTS).alias("ms"),
     )
     # the score is a sum of one teacher's entry for each group: no vector is needed for it
