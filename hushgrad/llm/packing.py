@@ -166,7 +166,7 @@ def pack(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int = END
     lengths = store.settle(pieces.groupBy("length").agg(F.count(F.lit(1)).alias("n")), "lengths")
     layout = spark.sparkContext.broadcast(Layout(plan({r["length"]: r["n"] for r in lengths.collect()}, capacity)))
     groups = F.broadcast(lengths.select("length", F.ceil(F.col("n") / ROWS_PER_GROUP).alias("_groups")))
-    grouped = pieces.join(groups, "length").withColumn("g", F.pmod(F.xxhash64("doc_id", "piece"), F.col("_groups")).cast("int")).drop("_groups")
+    grouped = pieces.join(groups, "length").withColumn("g", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.col("_groups")).cast("int")).drop("_groups")
     counts = store.settle(grouped.groupBy("length", "g").agg(F.count(F.lit(1)).alias("n")), "length-counts")
     before = counts.select("length", "g", F.expr("coalesce(sum(n) over (partition by length order by g rows between unbounded preceding and 1 preceding), 0L)").alias("_before"))
     ranked = (

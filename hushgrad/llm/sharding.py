@@ -83,7 +83,7 @@ def shard(docs: DataFrame, shards: int, id_col: str = "doc_id", text_col: str =
     law is always `key`: the id and the number of shards alone decide.  size is
     the text's UTF-8 bytes plus 16.  slot numbers a shard's rows from 0 without
     gaps.  A shard may hold any share of the table, so a slot is the row's place
-    in a small group of its shard (a hash of the id) plus the counts of the
+    in a small group of its shard (a hash of id and text) plus the counts of the
     groups before it; the number of groups follows the row count.
 
     A null text counts as empty; a null id is sharded as 0; rows that repeat an
@@ -94,7 +94,8 @@ def shard(docs: DataFrame, shards: int, id_col: str = "doc_id", text_col: str =
         F.coalesce(F.col(text_col), F.lit("")).alias("_t"),
     )
     groups = max(1, -(-rows.count() // (shards * ROWS_PER_SLOT_GROUP)))
-    placed = F.pmod(F.xxhash64(F.col("doc_id"), F.lit(17)), F.lit(groups)).cast("int")
+    # with the text, or rows that share an id (or have none) would be one group
+    placed = F.pmod(F.xxhash64("doc_id", "_t", F.lit(17)), F.lit(groups)).cast("int") if groups > 1 else F.lit(0)
     both = jump_shards(F.col("doc_id"), shards)
     counts = store.settle(
         rows.select(both["shard"].alias("shard"), placed.alias("_g")).groupBy("shard", "_g").agg(F.count(F.lit(1)).alias("_n")),
