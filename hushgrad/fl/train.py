@@ -290,45 +290,49 @@ def _clients(runs: dict[str, Run], t: int):
     """Rows of sums and of state in order of (run, client); one message for each."""
     get = lambda x: None if x is None else np.frombuffer(x)
 
+    def one(name: str, client: int, parts: list, state: tuple | None) -> tuple:
+        run = runs[name]
+        total, payload = None, 0
+        # partials in a fixed order, so the sum doesn't depend on how the samples lay
+        for g, full, used, cut, left in sorted(parts, key=lambda z: (z[2], z[0])):
+            pairs = np.frombuffer(left, "<i8").reshape(-1, 2).tolist() if left else []
+            s = estimators.Sums(get(g), get(full), used, cut, dict(map(tuple, pairs)))
+            payload += len(g) + (len(full) if full else 0)
+            if total is None:
+                total = s
+            else:
+                total.add(s)
+        shift, memory = (np.zeros(run.d), None) if state is None else (get(state[0]), get(state[1]))
+        coords, v, shift, memory = client_step(run, t, client, total, shift, memory)
+        left = [x for p in sorted(total.left.items()) for x in p] if total.left else None
+        return name, client, shift if run.shifted else None, memory, coords, run.weight_of(client) * v, total.used, total.cut, left, payload + 12 * len(v)
+
+    def batch_of(rows: list[tuple]) -> pa.RecordBatch:
+        name, client, shift, memory, coords, v, used, cut, left, payload = map(list, zip(*rows, strict=True))
+        long = lambda x: pa.array(x, pa.int64())
+        cols = [pa.array(name), long(client), _bytes(shift), _bytes(memory), _bytes(coords, "<i4"), _bytes(v), long(used), long(cut), _bytes(left, "<i8"), long(payload)]
+        return pa.RecordBatch.from_arrays(cols, [c.split()[0] for c in _CLIENT.split(", ")])
+
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         at, parts, state = None, [], None
-
-        def done() -> pa.RecordBatch:
-            run, client = runs[at[0]], at[1]
-            total, payload = None, 0
-            # partials in a fixed order, so the sum doesn't depend on how the samples lay
-            for g, full, used, cut, left in sorted(parts, key=lambda z: (z[2], z[0])):
-                pairs = np.frombuffer(left, "<i8").reshape(-1, 2).tolist() if left else []
-                s = estimators.Sums(get(g), get(full), used, cut, dict(map(tuple, pairs)))
-                payload += len(g) + (len(full) if full else 0)
-                if total is None:
-                    total = s
-                else:
-                    total.add(s)
-            shift, memory = (np.zeros(run.d), None) if state is None else (get(state[0]), get(state[1]))
-            coords, v, shift, memory = client_step(run, t, client, total, shift, memory)
-            v = run.weight_of(client) * v
-            left = [x for p in sorted(total.left.items()) for x in p] if total.left else None
-            return pa.RecordBatch.from_arrays(
-                [
-                    pa.array([run.name]), pa.array([client], pa.int64()), _bytes([shift if run.shifted else None]), _bytes([memory]), _bytes([coords], "<i4"), _bytes([v]),
-                    pa.array([total.used], pa.int64()), pa.array([total.cut], pa.int64()), _bytes([left], "<i8"), pa.array([payload + 12 * len(v)], pa.int64()),
-                ],
-                [c.split()[0] for c in _CLIENT.split(", ")],
-            )
-
+        rows: list[tuple] = []
         for batch in batches:
             for name, client, g, full, used, cut, left, shift, memory in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 if (name, client) != at:
                     if parts:
-                        yield done()
+                        rows.append(one(*at, parts, state))
                     at, parts, state = (name, client), [], None
                 if g is None:
                     state = (shift if shift is not None else np.zeros(runs[name].d).tobytes(), memory) if name in runs else None
                 else:
                     parts.append((g, full, used, cut, left))
+                if len(rows) >= 256:
+                    yield batch_of(rows)
+                    rows = []
         if parts:
-            yield done()
+            rows.append(one(*at, parts, state))
+        if rows:
+            yield batch_of(rows)
 
     return go
 
