@@ -16,9 +16,8 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -135,10 +134,9 @@ def _measured(window: int):
                     pa.array(first.astype(np.int32)),
                     pa.StructArray.from_arrays([pa.array(h[new].view(np.int64)), pa.array(per.astype(np.int64))], ["hash", "n_words"]),
                 )
-                whole = words.span_hash(s.buf, s.offsets[:-1], s.offsets[1:], 2).view(np.int64)
                 cols = [m[k].astype(np.int64) for k in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")]
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(a, n), batch.column(1).slice(a, n), pa.array(whole), *map(pa.array, cols), lines],
+                    [batch.column(0).slice(a, n), batch.column(1).slice(a, n), batch.column(3).slice(a, n), *map(pa.array, cols), lines],
                     ["doc_id", "source", "text_hash", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "lines"],
                 )
 
@@ -147,7 +145,7 @@ def _measured(window: int):
 
 def near_units(docs: DataFrame, near: near_dedup.Params, text_col: str = "text") -> DataFrame:
     """(text_hash, unit): the group of near copies of each distinct text."""
-    texts = docs.select(F.coalesce(F.col(text_col), F.lit("")).alias("text")).withColumn("text_hash", _text_hash("text"))
+    texts = docs.select(F.coalesce(F.col(text_col), F.lit("")).alias("text"), _text_hash(text_col).alias("text_hash"))
     # equal ids are equal texts here, so repeated rows are one member of their group
     found = near_dedup.components(texts, near, "text_hash", "text")
     units = found.select(F.col("doc_id").alias("text_hash"), F.coalesce("component_id", "doc_id").alias("unit"))
@@ -187,7 +185,7 @@ def evaluate(docs: DataFrame, rules: Rules = Rules(), id_col: str = "doc_id", te
     host); an empty table gives none.
     """
     host = F.coalesce(F.col(host_col).cast("string"), F.lit("")) if host_col else F.lit("")
-    slim = docs.select(F.col(id_col).alias("doc_id"), host.alias("source"), F.col(text_col).alias("text"))
+    slim = docs.select(F.col(id_col).alias("doc_id"), host.alias("source"), F.col(text_col).alias("text"), _text_hash(text_col).alias("text_hash"))
     measured = store.settle(slim.mapInArrow(_measured(rules.repeat_window), _SCHEMA), "line-measures")
     units = near_units(slim, near) if near else None
     hot = store.settle(frequent_lines(measured, rules, units), "hot-lines")
@@ -274,17 +272,6 @@ def filter_documents(docs: DataFrame, rules: Rules = Rules(), id_col: str = "doc
     return cleaned.select(*out)
 
 
-def _text_hash(name: str):  # noqa: ANN202
-    """The text hash of `_measured`, as a column."""
-
-    @F.pandas_udf("long")
-    def of(texts: pd.Series) -> pd.Series:
-        column = pa.array(texts, pa.large_string())
-        buf, offsets = words.raw(column)
-        parts = [np.zeros(0, dtype=np.int64)]
-        for a, b in words.slices(column):
-            off = offsets[a : b + 1] - offsets[a]
-            parts.append(words.span_hash(buf[offsets[a] : offsets[b]], off[:-1], off[1:], 2).view(np.int64))
-        return pd.Series(np.concatenate(parts))
-
-    return of(F.col(name))
+def _text_hash(name: str) -> Column:
+    """What says that two texts are equal: made where the text is read, without Python."""
+    return F.xxhash64(F.coalesce(F.col(name), F.lit("")))
