@@ -156,19 +156,20 @@ def _jobs(w: workloads.Workload, sizes: dict[int, int], methods: tuple[str, ...]
 
 
 def _short(name: str, methods: tuple[str, ...], rounds: int = 10, prepare=None, what: str = ""):  # noqa: ANN001
-    """Some rounds of the methods on a workload at every eps, all in the same jobs, with a run without privacy."""
+    """Some rounds of the methods on a workload at its least and largest eps, all in the same jobs, with a run without
+    privacy.  They show that everything runs; `experiments.py` compares."""
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         w = workloads.WORKLOADS[name]
         samples, test, sizes = prepare(spark, sf_dir) if prepare else workloads.prepare(spark, name, sf_dir)
-        jobs = _jobs(w, sizes, methods, w.eps, rounds)
+        jobs = _jobs(w, sizes, methods, (w.eps[0], w.eps[-1]), rounds)
         first = jobs[0]
         jobs.append(replace(first, name="not_private", privacy=None))
         if name == "tab_logistic":
             # direct compression by quantising instead of picking, and by picking without a server's reference
             jobs.append(replace(first, name="quantised_direct", method="direct_sgd", compressor=compress.RandomQuantizer(4)))
             jobs.append(replace(first, name="sparsified_direct", method="direct_sgd"))
-        _, trace = train.train(samples, jobs, w.loss, eval_every=1, test=test)
+        _, trace = train.train(samples, jobs, w.loss, eval_every=max(1, rounds // 2), test=test)
         workloads.release(samples, test)
         return spark.createDataFrame(trace, train.TRACE)
 
@@ -177,8 +178,9 @@ def _short(name: str, methods: tuple[str, ...], rounds: int = 10, prepare=None,
 
 
 def stepsize_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The five compared methods over all stepsizes and all eps, uncompressed ones for a twentieth of the rounds, with the best of each."""
-    return experiments.compare(experiments.sweep(spark, "doc_logistic", sf_dir, rounds=180))
+    """The five compared methods over all stepsizes at the largest eps, uncompressed ones for a twentieth of the rounds, with
+    the best of each.  `experiments.sweep` takes all eps."""
+    return experiments.compare(experiments.sweep(spark, "doc_logistic", sf_dir, eps=(10.0,), rounds=180))
 
 
 TRAINED = [_short("tab_logistic", tuple(train.METHODS))] + [_short(n, workloads.COMPARED) for n in ("doc_logistic", "doc_quality", "vec_network", "vec_raw")]
