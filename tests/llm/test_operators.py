@@ -405,7 +405,7 @@ def test_follow_the_leader_by_a_plain_loop():
     """The published per-coordinate update, one coordinate after the other."""
     import math
 
-    p = quality_classifier.Params(bits=4, epochs=2, alpha=0.3, beta=0.7, l1=0.05, l2=0.2)
+    p = quality_classifier.Params(bits=4, epochs=2, alpha=0.3, beta=0.7, l1=0.6, l2=0.2)
     rng = np.random.default_rng(9)
     rows = []
     for _ in range(30):
