@@ -87,3 +87,23 @@ def test_theory_batches():
 def test_compare_refuses_short_runs(trace):
     with pytest.raises(ValueError, match="fewer than 10"):
         experiments.compare(trace)
+
+
+def test_natural_clients_lie_in_one_task(spark, sf_dir):
+    """A client's samples lie side by side, numbered without gaps, as indicators of one byte; nothing stays on disk."""
+    import os
+
+    from pyspark.sql import functions as F
+
+    from hushgrad.fl import storage
+
+    root = storage.folder(spark).removeprefix("file:") + "/hushgrad-fl"
+    before = set(os.listdir(root)) if os.path.isdir(root) else set()
+    samples, test, sizes = workloads.prepare_natural(spark, sf_dir)
+    n = spark.read.parquet(f"{sf_dir}/lineitem.parquet").count()
+    assert samples.count() + test.count() == n == sum(sizes.values()) + test.count()
+    rows = samples.withColumn("p", F.spark_partition_id()).select("client_id", "seq", "p", F.length("hot").alias("w")).collect()
+    assert sorted((r[0], r[1]) for r in rows) == [(c, s) for c in sorted(sizes) for s in range(sizes[c])]
+    assert len({(r["client_id"], r["p"]) for r in rows}) == len(sizes) and {r["w"] for r in rows} == {14}
+    workloads.release(samples, test)
+    assert set(os.listdir(root)) <= before
