@@ -19,6 +19,18 @@ def test_plans(spark, sf_dir):
     assert "l_comment" not in schema and "l_tax" not in schema
 
 
+READS = [
+    "compressor_error",
+]
+
+
+@pytest.mark.parametrize("name", READS)
+def test_reads_a_given_table(spark, sf_dir, name):
+    """Spark reads a given table for it, and nothing is made up in its place."""
+    _, physical = plan_of(catalogue.QUERIES[name](spark, sf_dir))
+    assert "FileScan parquet" in physical and f"{sf_dir}/" in physical and "Range (" not in physical
+
+
 def plan_of(df):
     return df._jdf.queryExecution().optimizedPlan().toString(), df._jdf.queryExecution().executedPlan().toString()
 
