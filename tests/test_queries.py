@@ -21,6 +21,7 @@ def test_plans(spark, sf_dir):
 
 READS = [
     "compressor_error",
+    "cost_table",
 ]
 
 
