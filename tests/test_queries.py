@@ -22,6 +22,7 @@ def test_plans(spark, sf_dir):
 READS = [
     "compressor_error",
     "cost_table",
+    "gradient_cost_table",
 ]
 
 
