@@ -23,6 +23,7 @@ READS = [
     "compressor_error",
     "cost_table",
     "gradient_cost_table",
+    "m_dependence",
 ]
 
 
