@@ -24,6 +24,7 @@ READS = [
     "cost_table",
     "gradient_cost_table",
     "m_dependence",
+    "noise_draws",
 ]
 
 
