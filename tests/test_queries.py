@@ -25,6 +25,7 @@ READS = [
     "gradient_cost_table",
     "m_dependence",
     "noise_draws",
+    "noise_variance_table",
 ]
 
 
