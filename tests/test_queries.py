@@ -26,6 +26,7 @@ READS = [
     "m_dependence",
     "noise_draws",
     "noise_variance_table",
+    "preset_table",
 ]
 
 
