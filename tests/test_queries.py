@@ -27,6 +27,7 @@ READS = [
     "noise_draws",
     "noise_variance_table",
     "preset_table",
+    "privacy_spent",
 ]
 
 
