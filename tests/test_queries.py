@@ -28,6 +28,7 @@ READS = [
     "noise_variance_table",
     "preset_table",
     "privacy_spent",
+    "shift_step_table",
 ]
 
 
