@@ -29,6 +29,7 @@ READS = [
     "preset_table",
     "privacy_spent",
     "shift_step_table",
+    "svrg_refresh",
 ]
 
 
