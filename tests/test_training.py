@@ -228,3 +228,18 @@ def test_unequal_clients_weigh_by_their_samples(spark, data):
     assert x["u"] == pytest.approx(want, abs=1e-12)
     small = train.Run("v", "direct_sgd", 2, 0.5, 0.5, M, D, theory.PrivacySpec(1.0), b=6, sizes=sizes)
     assert small.sigma_of(2) == pytest.approx(4 * small.sigma_of(0))
+
+
+def test_a_small_round_takes_few_tasks(spark, monkeypatch):
+    """The messages of a small round are made in one task, whatever the session's partitions; many vectors take all of them."""
+    made = []
+    settle = train.storage.settle
+    monkeypatch.setattr(train.storage, "settle", lambda df, name: made.append(df.rdd.getNumPartitions()) or settle(df, name))
+    samples = spark.createDataFrame([(c, i, [1.0, float(i % 3)], 1.0) for c in range(2) for i in range(8)], "client_id long, seq long, features array<double>, label double")
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", "7")
+    try:
+        train.train(samples, [train.Run("r", "shifted_sgd", 2, 0.1, 0.5, 8, 2, b=2)], LOSS, eval_every=1)
+        assert made == [1, 1] and train._parts(spark, 10**6, 123) == 7
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
